@@ -6,12 +6,15 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import hilbert_sharding, quality_rules, source_mixing
+from . import chat_format, decontamination, hilbert_sharding, prefix_tokens, quality_rules, source_mixing
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op2_source_mixing": source_mixing.op2_source_mixing,
+        "op4_chat_formatting": chat_format.op4_chat_formatting,
+        "op6_token_counts": prefix_tokens.op6_token_counts,
+        "op7_decontamination": decontamination.op7_decontamination,
         "op8_quality_rules": quality_rules.op8_quality_rules,
         "op10_hilbert_sharding": hilbert_sharding.op10_hilbert_sharding,
     }
