@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat_format, decontamination, hilbert_sharding, prefix_tokens, quality_rules, source_mixing
+from . import chat_format, decontamination, hilbert_sharding, ngram_join, prefix_tokens, quality_rules, source_mixing
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -16,6 +16,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op6_token_counts": prefix_tokens.op6_token_counts,
         "op7_decontamination": decontamination.op7_decontamination,
         "op8_quality_rules": quality_rules.op8_quality_rules,
+        "op9_ngram_jaccard": ngram_join.op9_ngram_jaccard,
         "op10_hilbert_sharding": hilbert_sharding.op10_hilbert_sharding,
     }
 
