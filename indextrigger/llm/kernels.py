@@ -19,7 +19,7 @@ PIECE_BYTES = 1 << 19
 _BASE = 0x9E3779B97F4A7C15  # any odd number has an inverse modulo 2**64
 _INVERSE = pow(_BASE, -1, 1 << 64)
 _powers = {"up": np.ones(1, np.uint64), "down": np.ones(1, np.uint64)}
-_BYTE_CODES = np.random.default_rng(20240817).integers(1, 2**64, 256, dtype=np.uint64)
+_BYTE_CODES, _OTHER_CODES = np.random.default_rng(20240817).integers(1, 2**64, (2, 256), dtype=np.uint64)
 
 
 def powers(n: int, kind: str = "up") -> np.ndarray:
@@ -146,10 +146,10 @@ def sliding_least(x: np.ndarray, w: int, greatest: bool = False) -> np.ndarray:
     return best(behind[: n - w + 1], ahead[w - 1 : n])
 
 
-def span_hashes(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def span_hashes(data: np.ndarray, salt: int = 0) -> tuple[np.ndarray, np.ndarray]:
     """Prefix sums for :func:`span_hash` of any substring, and the inverse powers they need."""
     sums = np.zeros(len(data) + 1, np.uint64)
-    np.cumsum(_BYTE_CODES[data] * powers(len(data)), out=sums[1:])
+    np.cumsum((_OTHER_CODES if salt else _BYTE_CODES)[data] * powers(len(data)), out=sums[1:])
     return sums, powers(len(data) + 1, "down")
 
 

@@ -6,13 +6,15 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat_format, decontamination, hilbert_sharding, ngram_join, prefix_tokens, quality_rules, source_mixing
+from . import chat_format, chunk_dedup, decontamination, hilbert_sharding, ngram_join, prefix_tokens, quality_rules, source_mixing, suffix_repeats
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_content_chunks": chunk_dedup.op1_content_chunks,
         "op2_source_mixing": source_mixing.op2_source_mixing,
         "op4_chat_formatting": chat_format.op4_chat_formatting,
+        "op5_suffix_repeats": suffix_repeats.op5_suffix_repeats,
         "op6_token_counts": prefix_tokens.op6_token_counts,
         "op7_decontamination": decontamination.op7_decontamination,
         "op8_quality_rules": quality_rules.op8_quality_rules,
