@@ -6,13 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chat_format, chunk_dedup, decontamination, hilbert_sharding, ngram_join, prefix_tokens, quality_rules, source_mixing, suffix_repeats
+from . import chat_format, chunk_dedup, cotraining, decontamination, hilbert_sharding, ngram_join, prefix_tokens, quality_rules, source_mixing, suffix_repeats
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_content_chunks": chunk_dedup.op1_content_chunks,
         "op2_source_mixing": source_mixing.op2_source_mixing,
+        "op3_cotrained_quality": cotraining.op3_cotrained_quality,
         "op4_chat_formatting": chat_format.op4_chat_formatting,
         "op5_suffix_repeats": suffix_repeats.op5_suffix_repeats,
         "op6_token_counts": prefix_tokens.op6_token_counts,
