@@ -32,16 +32,12 @@ from . import kernels as K
 from .arrow_rows import exploded_by_arrow
 from .storage import table, written
 
+#: Ids that are sent to all executors to pick texts; beyond that the texts are shuffled.
+BROADCAST_IDS = 1_000_000
 WORDS = K.byte_table(K.SPACED, lower=True)
 
-SKETCHES = T.StructType(
-    [
-        T.StructField("doc_id", T.LongType()),
-        T.StructField("n_shingles", T.LongType()),
-        T.StructField("digest", T.BinaryType()),
-        T.StructField("lead", T.ArrayType(T.LongType(), False)),
-    ]
-)
+MEMBERS = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("n_shingles", T.LongType()), T.StructField("digest", T.BinaryType())])
+SKETCHES = T.StructType([*MEMBERS.fields, T.StructField("lead", T.ArrayType(T.LongType(), False))])
 SETS = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("hashes", T.ArrayType(T.LongType(), False))])
 
 
@@ -63,8 +59,8 @@ def prefix_sizes(n: int, percent: int) -> tuple[int, int]:
     return min(n, lost + 1), min(n, lost + apart + 2)
 
 
-def sketches(docs: DataFrame, width: int, percent: int) -> DataFrame:
-    """Set size, digest of the set and extended prefix of every document."""
+def sketches(docs: DataFrame, width: int, percent: int, with_lead: bool) -> DataFrame:
+    """Set size, digest of the set and, on request, extended prefix of every document."""
 
     def kernel(batch: pa.RecordBatch) -> Iterator[list[pa.Array]]:
         data, offsets, _ = K.text_column(batch.column(1))
@@ -74,10 +70,11 @@ def sketches(docs: DataFrame, width: int, percent: int) -> DataFrame:
                 sizes.append(len(found))
                 digests.append(xxhash.xxh3_128_digest(found.tobytes()))
                 leads.append(found[: prefix_sizes(len(found), percent)[1]])
-            flat = np.concatenate(leads) if leads else np.zeros(0, np.int64)
-            yield [batch.column(0).slice(row, end - row), pa.array(sizes, pa.int64()), pa.array(digests, pa.binary()), K.lists(flat, np.fromiter(map(len, leads), np.int64), pa.int64())]
+            flat = np.concatenate(leads)
+            lead = [K.lists(flat, np.fromiter(map(len, leads), np.int64), pa.int64())] if with_lead else []
+            yield [batch.column(0).slice(row, end - row), pa.array(sizes, pa.int64()), pa.array(digests, pa.binary()), *lead]
 
-    return exploded_by_arrow(docs, SKETCHES, kernel)
+    return exploded_by_arrow(docs, SKETCHES if with_lead else MEMBERS, kernel)
 
 
 def whole_sets(docs: DataFrame, width: int) -> DataFrame:
@@ -116,6 +113,21 @@ def leads_fit(a: Column, n_a: Column, b: Column, n_b: Column, percent: int) -> C
     return differences <= n_a + n_b - 2 * least_shared(n_a, n_b, percent)
 
 
+def hubs(large: DataFrame) -> DataFrame:
+    """``sig, node`` of large buckets plus ``hub``, the same for all members of a bucket.
+
+    Two rounds of taking the least node over buckets and members let the many buckets
+    of one group of near copies agree on one hub, so that a member is compared about once.
+    """
+    near = large.withColumn("hub", F.col("node"))
+    for _ in range(2):
+        least = near.groupBy("sig").agg(F.min("hub").alias("hub"))
+        near = large.join(least, "sig")
+        own = near.groupBy("node").agg(F.min("hub").alias("hub"))
+        near = large.join(own, "node")
+    return large.join(near.groupBy("sig").agg(F.min("hub").alias("hub")), "sig")
+
+
 def components(links: DataFrame) -> DataFrame:
     """``a, b`` -> ``node, component``: the least node that links reach, for every node of a link.
 
@@ -142,7 +154,7 @@ def components(links: DataFrame) -> DataFrame:
     return out.withColumnRenamed("hi", "node").unionByName(roots.withColumn("component", F.col("node")))
 
 
-def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, rare: int = 32) -> DataFrame:
+def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, rare: int = 8) -> DataFrame:
     """``doc_id, text`` -> ``doc_id, n_shingles, node, component_id``, one row per input row.
 
     Two documents link when ``100 * |A and B| >= percent * |A or B|`` over their sets of
@@ -153,8 +165,8 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, rare:
     set. Empty input gives no rows; other columns are ignored.
     """
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    found = written(sketches(texts, width, percent), "sketches")
-    named = found.where("n_shingles > 0 AND doc_id IS NOT NULL")
+    found = written(sketches(texts, width, percent, False), "members")
+    named = sketches(texts, width, percent, True).where("n_shingles > 0 AND doc_id IS NOT NULL")
     nodes = named.groupBy("digest").agg(F.min("doc_id").alias("node"), F.any_value("n_shingles").alias("n"), F.any_value("lead").alias("lead"))
     nodes = written(nodes, "nodes")
     short = F.expr(f"least(n, n * {100 - percent} div 100 + 1)").cast("int")
@@ -166,19 +178,21 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, rare:
     ahead = F.slice("lead", F.lit(2), F.greatest(F.size("lead") - 1, F.lit(1)))
     pairs_of = F.zip_with(F.slice("lead", F.lit(1), F.size("lead") - 1), ahead, lambda x, y: F.xxhash64(x, y))
     combined = nodes.join(common, "node", "left_semi").where("size(lead) > 1").select("node", "n", F.explode(pairs_of).alias("sig"))
-    met = combined.groupBy("sig").agg(F.count(F.lit(1)).alias("c"), F.min("node").alias("hub")).where("c > 1")
+    met = combined.groupBy("sig").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
     met = written(combined.join(met, "sig"), "combined")
     small = singles.unionByName(met.where(F.col("c") <= rare).select("sig", "node", "n"))
     a, b = (small.select("sig", F.col("node").alias(x), F.col("n").alias(f"n_{x}")) for x in "ab")
     fits = sizes_fit(F.col("n_a"), F.col("n_b"), percent)
     pairs = a.join(b, "sig").where((F.col("a") < F.col("b")) & fits).select("a", "b").distinct()
-    to_hub = met.where((F.col("c") > rare) & (F.col("node") != F.col("hub"))).select(F.col("hub").alias("a"), F.col("node").alias("b")).distinct()
+    to_hub = hubs(met.where(F.col("c") > rare).select("sig", "node")).where("hub <> node").select(F.col("hub").alias("a"), F.col("node").alias("b")).distinct()
     pairs = written(pairs, "pairs")
     to_hub = written(to_hub, "hubs")
     lead = lambda x: nodes.select(F.col("node").alias(x), F.col("n").alias(f"n_{x}"), F.col("lead").alias(f"lead_{x}"))
     near = pairs.join(lead("a"), "a").join(lead("b"), "b").where(leads_fit(F.col("lead_a"), F.col("n_a"), F.col("lead_b"), F.col("n_b"), percent)).select("a", "b", F.lit(False).alias("hub"))
     asked = written(near.unionByName(to_hub.withColumn("hub", F.lit(True))).groupBy("a", "b").agg(F.max("hub").alias("hub")), "asked")
-    wanted = asked.select(F.col("a").alias("doc_id")).union(asked.select("b")).distinct()
+    wanted = written(asked.select(F.col("a").alias("doc_id")).union(asked.select("b")).distinct(), "wanted")
+    if wanted.count() <= BROADCAST_IDS:
+        wanted = F.broadcast(wanted)
     sets = written(whole_sets(texts.where("doc_id IS NOT NULL").join(wanted, "doc_id", "left_semi"), width), "sets")
     whole = lambda x: sets.select(F.col("doc_id").alias(x), F.col("hashes").alias(f"set_{x}"))
     judged = asked.join(whole("a"), "a").join(whole("b"), "b")
