@@ -39,7 +39,7 @@ GRAM = 50
 #: Open classes of one gram that one task refines; a bucket of more is counted by a shuffle of its suffixes.
 BUCKET_CLASSES = 8192
 #: Bytes of contexts that are refined together.
-REFINED_BYTES = 8 << 20
+REFINED_BYTES = 1 << 20
 _INDEX_BITS = np.uint64(24)
 _INDEX = np.uint64((1 << 24) - 1)
 _BLOCK = 1 << 23
@@ -115,20 +115,24 @@ def refined(data: np.ndarray, starts: np.ndarray, width: int) -> np.ndarray:
     alive = np.arange(len(starts))
     half = width // 2
 
-    def at(ids: np.ndarray, where: np.ndarray, wanted: np.ndarray) -> np.ndarray:
-        return ids[np.searchsorted(where, wanted)]
+    def places(wanted: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        """The wanted positions in order, and for every byte how many stand before it."""
+        mark = np.zeros(len(data) + 1, bool)
+        for w in wanted:
+            mark[w] = True
+        return np.flatnonzero(mark), np.cumsum(mark, dtype=np.int32) - 1
 
-    where = np.unique((starts[:, None] + np.arange(0, width, GRAM)[None, :]).ravel())
+    where, slot = places([starts + shift for shift in range(0, width, GRAM)])
     ids, sizes = dense(K.span_hash(sums, down, where, where + GRAM))
     for shift in range(0, width, GRAM):
-        alive = alive[at(sizes, where, starts[alive] + shift) > 1]
-    grams, gram_at = ids, where
-    where = np.unique(np.concatenate([starts[alive], starts[alive] + half]))
-    ids, sizes = dense(at(grams, gram_at, where) << 32 | at(grams, gram_at, where + GRAM))
+        alive = alive[sizes[slot[starts[alive] + shift]] > 1]
+    grams, gram_slot = ids, slot
+    where, slot = places([starts[alive], starts[alive] + half])
+    ids, sizes = dense(grams[gram_slot[where]] << 32 | grams[gram_slot[where + GRAM]])
     for shift in (0, half):
-        alive = alive[at(sizes, where, starts[alive] + shift) > 1]
+        alive = alive[sizes[slot[starts[alive] + shift]] > 1]
     if len(alive):
-        _, sizes = dense(at(ids, where, starts[alive]) << 32 | at(ids, where, starts[alive] + half))
+        _, sizes = dense(ids[slot[starts[alive]]] << 32 | ids[slot[starts[alive] + half]])
         repeated[alive[sizes > 1]] = True
     return repeated
 
