@@ -9,8 +9,8 @@ neighbours of the order. That long a prefix has more shared hashes than the two
 have differences, so two shared ones follow each other in both, and the pair
 meets in that combination; a set has as many combinations as hashes, not their square.
 
-Signatures of at most ``rare`` sets give pairs. A larger bucket is never paired
-up: each member is compared with the least member, its hub, and keeps its difference from
+Hashes of at most ``rare`` sets and combinations of at most ``crowd`` give pairs. A larger
+bucket is never paired up: each member is compared with the least member, its hub, and keeps its difference from
 it. Members linked to the hub are connected already; any other member is compared
 with those of the same hub by the two differences, inside the join's condition.
 Candidates are first tested on their prefixes, then on their whole sets, rebuilt
@@ -113,21 +113,6 @@ def leads_fit(a: Column, n_a: Column, b: Column, n_b: Column, percent: int) -> C
     return differences <= n_a + n_b - 2 * least_shared(n_a, n_b, percent)
 
 
-def hubs(large: DataFrame) -> DataFrame:
-    """``sig, node`` of large buckets plus ``hub``, the same for all members of a bucket.
-
-    Two rounds of taking the least node over buckets and members let the many buckets
-    of one group of near copies agree on one hub, so that a member is compared about once.
-    """
-    near = large.withColumn("hub", F.col("node"))
-    for _ in range(2):
-        least = near.groupBy("sig").agg(F.min("hub").alias("hub"))
-        near = large.join(least, "sig")
-        own = near.groupBy("node").agg(F.min("hub").alias("hub"))
-        near = large.join(own, "node")
-    return large.join(near.groupBy("sig").agg(F.min("hub").alias("hub")), "sig")
-
-
 def components(links: DataFrame) -> DataFrame:
     """``a, b`` -> ``node, component``: the least node that links reach, for every node of a link.
 
@@ -154,7 +139,7 @@ def components(links: DataFrame) -> DataFrame:
     return out.withColumnRenamed("hi", "node").unionByName(roots.withColumn("component", F.col("node")))
 
 
-def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, rare: int = 8) -> DataFrame:
+def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, rare: int = 8, crowd: int = 32) -> DataFrame:
     """``doc_id, text`` -> ``doc_id, n_shingles, node, component_id``, one row per input row.
 
     Two documents link when ``100 * |A and B| >= percent * |A or B|`` over their sets of
@@ -180,11 +165,12 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, rare:
     combined = nodes.join(common, "node", "left_semi").where("size(lead) > 1").select("node", "n", F.explode(pairs_of).alias("sig"))
     met = combined.groupBy("sig").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
     met = written(combined.join(met, "sig"), "combined")
-    small = singles.unionByName(met.where(F.col("c") <= rare).select("sig", "node", "n"))
+    small = singles.unionByName(met.where(F.col("c") <= crowd).select("sig", "node", "n"))
     a, b = (small.select("sig", F.col("node").alias(x), F.col("n").alias(f"n_{x}")) for x in "ab")
     fits = sizes_fit(F.col("n_a"), F.col("n_b"), percent)
     pairs = a.join(b, "sig").where((F.col("a") < F.col("b")) & fits).select("a", "b").distinct()
-    to_hub = hubs(met.where(F.col("c") > rare).select("sig", "node")).where("hub <> node").select(F.col("hub").alias("a"), F.col("node").alias("b")).distinct()
+    large = met.where(F.col("c") > crowd).select("sig", "node")
+    to_hub = large.join(large.groupBy("sig").agg(F.min("node").alias("hub")), "sig").where("hub <> node").select(F.col("hub").alias("a"), F.col("node").alias("b")).distinct()
     pairs = written(pairs, "pairs")
     to_hub = written(to_hub, "hubs")
     lead = lambda x: nodes.select(F.col("node").alias(x), F.col("n").alias(f"n_{x}"), F.col("lead").alias(f"lead_{x}"))
