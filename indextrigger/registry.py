@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from .functions import bursts as B
 from .functions import text as X
 from .functions import volatility as VOL
+from .operators import relational
 from .params import FLAGSHIP
 from .plans import affinity as A
 from .plans import baselines as BL
@@ -25,6 +26,7 @@ from .plans import pipeline as P
 from .plans import topics as T
 from .sources import views as V
 from .sources.staging import staged
+from .streaming import online
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -444,3 +446,7 @@ _ablation("raw_series", burst={"sparsify": False})
 _ablation("inclusive_tail", burst={"tail": "inclusive", "require_presence": True})
 _ablation("quiet_rates", burst={"expected": "quiet"})
 query("topics_then_index")(lambda s, d: (lambda f, pvi, inf, pairs, t: rounded(BL.topics_then_index(pairs, inf, f.p, VOL.index_change(V.order_index(s, d)))))(*P.impact_topics(STREAMS["order"](s, d), V.order_index(s, d))))
+
+for _module in (relational, online):
+    for _name, _f in _module.QUERIES.items():
+        query(_name, _module.SQL.get(_name))(_f)
