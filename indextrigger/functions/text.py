@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StringType
 
 URL, EMAIL, DIGITS = r"(https?://|www\.)\S+", r"[\w.+-]+@[\w-]+(\.[\w-]+)+", r"[0-9]+"
 
@@ -102,7 +103,7 @@ def stem_tokens(tokens: DataFrame) -> DataFrame:
     return joined.select(*[F.col("stem").alias("feature") if c == "feature" else F.col(c) for c in tokens.columns])
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(StringType())
 def stem(words: Iterator[pd.Series]) -> Iterator[pd.Series]:
     for part in words:
         yield part.map(lambda w: None if w is None else porter(w))

@@ -46,7 +46,10 @@ def _t(name: str):
 
 
 lineitem, orders, part, customer, nation, region, events, documents, embeddings, labels = map(_t, ("lineitem", "orders", "part", "customer", "nation", "region", "events", "documents", "embeddings", "labels"))
-_rev = F.col("l_extendedprice") * (1 - F.col("l_discount"))
+
+
+def _rev():
+    return F.col("l_extendedprice") * (1 - F.col("l_discount"))
 
 
 def window_functions(s: SparkSession, d: str) -> DataFrame:
@@ -80,9 +83,9 @@ def vector_neighbours(s: SparkSession, d: str) -> DataFrame:
 
 QUERIES = {
     "rel_filter_project": lambda s, d: lineitem(s, d).where((F.col("l_shipdate") < "1996-01-01") & F.col("l_quantity").between(10, 20) & F.col("l_returnflag").isin("A", "R")).select("l_orderkey", "l_linenumber", F.when(F.col("l_discount") > 0.05, "deep").otherwise("flat").alias("kind")),
-    "rel_revenue_summary": lambda s, d: lineitem(s, d).groupBy("l_returnflag", "l_linestatus").agg(F.round(F.sum(_rev), 2).alias("revenue"), F.round(F.avg("l_quantity"), 6).alias("avg_qty"), F.count_distinct("l_partkey").alias("parts"), F.min("l_discount").alias("lo"), F.max("l_discount").alias("hi"), F.count_if(F.col("l_tax") > 0.04).alias("taxed")),
+    "rel_revenue_summary": lambda s, d: lineitem(s, d).groupBy("l_returnflag", "l_linestatus").agg(F.round(F.sum(_rev()), 2).alias("revenue"), F.round(F.avg("l_quantity"), 6).alias("avg_qty"), F.count_distinct("l_partkey").alias("parts"), F.min("l_discount").alias("lo"), F.max("l_discount").alias("hi"), F.count_if(F.col("l_tax") > 0.04).alias("taxed")),
     "rel_broadcast_join": lambda s, d: customer(s, d).join(nation(s, d), F.col("c_nationkey") == F.col("n_nationkey")).join(region(s, d), F.col("n_regionkey") == F.col("r_regionkey")).groupBy("r_name").agg(F.count(F.lit(1)).alias("customers"), F.round(F.sum("c_acctbal"), 2).alias("balance")),
-    "rel_sort_merge_join": lambda s, d: orders(s, d).join(lineitem(s, d).hint("merge"), F.col("o_orderkey") == F.col("l_orderkey")).groupBy("o_orderpriority").agg(F.count(F.lit(1)).alias("lines"), F.round(F.sum(_rev), 2).alias("revenue")),
+    "rel_sort_merge_join": lambda s, d: orders(s, d).join(lineitem(s, d).hint("merge"), F.col("o_orderkey") == F.col("l_orderkey")).groupBy("o_orderpriority").agg(F.count(F.lit(1)).alias("lines"), F.round(F.sum(_rev()), 2).alias("revenue")),
     "rel_shuffle_hash_join": lambda s, d: lineitem(s, d).join(part(s, d).hint("shuffle_hash"), F.col("l_partkey") == F.col("p_partkey")).groupBy("p_type").agg(F.round(F.sum("l_quantity"), 2).alias("qty")),
     "rel_semi_join": lambda s, d: orders(s, d).join(lineitem(s, d).where("l_returnflag = 'R'"), F.col("o_orderkey") == F.col("l_orderkey"), "left_semi").groupBy("o_orderstatus").agg(F.count(F.lit(1)).alias("n")),
     "rel_anti_join": lambda s, d: orders(s, d).join(lineitem(s, d), F.col("o_orderkey") == F.col("l_orderkey"), "left_anti").select("o_orderkey"),
