@@ -32,7 +32,7 @@ from . import kernels as K
 from .arrow_rows import exploded_by_arrow
 from .storage import table, written
 
-#: Ids that are sent to all executors to pick texts; beyond that the texts are shuffled.
+#: Ids that are sent to all executors to pick or leave out texts; beyond that rows are shuffled.
 BROADCAST_IDS = 1_000_000
 WORDS = K.byte_table(K.SPACED, lower=True)
 
@@ -151,8 +151,16 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, rare:
     """
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     found = written(sketches(texts, width, percent, False), "members")
-    named = sketches(texts, width, percent, True).where("n_shingles > 0 AND doc_id IS NOT NULL")
-    nodes = named.groupBy("digest").agg(F.min("doc_id").alias("node"), F.any_value("n_shingles").alias("n"), F.any_value("lead").alias("lead"))
+    reps = found.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("digest").agg(F.min("doc_id").alias("node"))
+    reps = written(reps, "reps")
+    copies = written(found.join(reps, "digest").where("doc_id <> node").select("doc_id"), "copies")
+    named = texts.where("doc_id IS NOT NULL")
+    if copies.count() <= BROADCAST_IDS:  # copies are left out on the way, and prefixes need no shuffle
+        nodes = sketches(named.join(F.broadcast(copies), "doc_id", "left_anti"), width, percent, True).where("n_shingles > 0")
+        nodes = nodes.select(F.col("doc_id").alias("node"), F.col("n_shingles").alias("n"), "lead")
+    else:
+        nodes = sketches(named, width, percent, True).where("n_shingles > 0").groupBy("digest")
+        nodes = nodes.agg(F.min("doc_id").alias("node"), F.any_value("n_shingles").alias("n"), F.any_value("lead").alias("lead")).drop("digest")
     nodes = written(nodes, "nodes")
     short = F.expr(f"least(n, n * {100 - percent} div 100 + 1)").cast("int")
     plain = nodes.select("node", "n", F.explode(F.slice("lead", F.lit(1), short)).alias("sig"))
@@ -199,7 +207,7 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, rare:
     rest = x.where("NOT linked_x").join(y, "center").where((F.col("node_x") != F.col("node_y")) & once & sizes_fit(F.col("n_x"), F.col("n_y"), percent) & possible & (differ <= room))
     links = links.unionByName(rest.select(F.col("node_x").alias("a"), F.col("node_y").alias("b")))
     groups = components(links)
-    members = found.select("doc_id", "n_shingles", "digest").join(nodes.select("digest", "node"), "digest", "left")
+    members = found.select("doc_id", "n_shingles", "digest").join(reps, "digest", "left")
     members = members.select("doc_id", "n_shingles", F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("node")).otherwise(F.col("doc_id")).alias("node"))
     return members.join(groups, "node", "left").select("doc_id", "n_shingles", "node", F.coalesce("component", "node").alias("component_id"))
 
