@@ -104,7 +104,7 @@ QUERIES = {
     "rel_arrays": lambda s, d: documents(s, d).select("doc_id", F.split("source", "").alias("a"), F.split("lang", "").alias("b")).select("doc_id", F.size(F.array_intersect("a", "b")).alias("both"), F.size(F.array_union("a", "b")).alias("any")),
     "rel_json": lambda s, d: events(s, d).select("event_id", F.from_json("props", "k int")["k"].alias("k")).groupBy("k").agg(F.count(F.lit(1)).alias("n")),
     "rel_as_of_join": as_of_index,
-    "rel_range_join": lambda s, d: assign_irregular(orders(s, d).select(F.col("o_orderdate").alias("ts"), "o_totalprice"), ten_day_bounds(s)).where("win IS NOT NULL").groupBy("win").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("o_totalprice"), 4).alias("value")),
+    "rel_range_join": lambda s, d: assign_irregular(orders(s, d).select(F.col("o_orderdate").alias("ts"), "o_totalprice"), ten_day_bounds(s)).where("win IS NOT NULL").groupBy("win").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("o_totalprice"), 6).alias("value")),
     "rel_vector_cosine": vector_neighbours,
     "rel_dedup_keep_latest": lambda s, d: events(s, d).groupBy("user_id").agg(F.max_by("event_id", F.struct("ts", "event_id")).alias("event_id")),
     "rel_islands": lambda s, d: B.burst_runs(events(s, d).where("value > 30").select("user_id", V.window_of(F.col("ts"), V.EVENT_ORIGIN, 86400).alias("win")).distinct(), "user_id"),
@@ -133,7 +133,7 @@ SQL = {
     "rel_maths": "SELECT l_orderkey, l_linenumber, round(ln(l_extendedprice), 6) AS ln, round(sqrt(l_quantity), 6) AS root, greatest(l_discount, l_tax) AS most, CAST(ceil(l_quantity) AS BIGINT) AS up FROM lineitem",
     "rel_json": "SELECT CAST(json_extract(props, '$.k') AS INT) AS k, count(*) AS n FROM events GROUP BY 1",
     "rel_as_of_join": "SELECT e.event_id, round(c.value, 4) AS value FROM (SELECT * FROM events WHERE event_type = 'error') e ASOF LEFT JOIN (SELECT * FROM events WHERE event_type = 'click') c ON e.ts >= c.ts",
-    "rel_range_join": "SELECT CAST(i AS INT) AS win, count(*) AS n, round(avg(o_totalprice), 4) AS value FROM range(240) r(i) JOIN orders ON epoch(o_orderdate) >= 788918400 + 86400 * (10 * i + i % 2) AND epoch(o_orderdate) < 788918400 + 86400 * (10 * (i + 1) + (i + 1) % 2) GROUP BY 1",
+    "rel_range_join": "SELECT CAST(i AS INT) AS win, count(*) AS n, round(avg(o_totalprice), 6) AS value FROM range(240) r(i) JOIN orders ON epoch(o_orderdate) >= 788918400 + 86400 * (10 * i + i % 2) AND epoch(o_orderdate) < 788918400 + 86400 * (10 * (i + 1) + (i + 1) % 2) GROUP BY 1",
     "rel_vector_cosine": "WITH x AS (SELECT vec_id, label, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) AS i FROM embeddings), m AS (SELECT label, i, avg(x) AS m FROM x GROUP BY 1, 2) SELECT label, round(avg(c), 5) AS cosine FROM (SELECT vec_id, label, sum(x * m) / sqrt(sum(x * x) * sum(m * m)) AS c FROM x JOIN m USING (label, i) GROUP BY 1, 2) GROUP BY 1",
     "rel_dedup_keep_latest": "SELECT user_id, arg_max(event_id, (ts, event_id)) AS event_id FROM events GROUP BY 1",
     "rel_islands": "SELECT user_id, min(win) AS start_win, max(win) AS end_win, count(*) AS length FROM (SELECT user_id, win, win - row_number() OVER (PARTITION BY user_id ORDER BY win) AS run FROM (SELECT DISTINCT user_id, CAST(floor((epoch(ts) - epoch(TIMESTAMP '2024-01-01')) / 86400) AS INT) AS win FROM events WHERE value > 30)) GROUP BY user_id, run",

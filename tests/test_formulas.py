@@ -101,7 +101,7 @@ def test_greedy_against_recomputation(influence, seed):
 
 def test_kmeans_on_cosines_equals_raw_vectors():
     rng = np.random.default_rng(3)
-    x = np.concatenate([rng.normal(c, 0.1, (6, 5)) for c in (np.eye(5)[0], np.eye(5)[1], np.eye(5)[2])])
+    x = np.concatenate([rng.normal(c + 0.35, 0.05, (6, 5)) for c in (np.eye(5)[0], np.eye(5)[1], np.eye(5)[2])])
     unit = x / np.linalg.norm(x, axis=1, keepdims=True)
     labels = spherical_kmeans(unit @ unit.T, 3)
     assert len({tuple(labels[i : i + 6]) for i in (0, 6, 12)}) == 3 and all(len(set(labels[i : i + 6])) == 1 for i in (0, 6, 12))
@@ -109,7 +109,7 @@ def test_kmeans_on_cosines_equals_raw_vectors():
         centers = np.stack([unit[labels == c].sum(axis=0) for c in range(3)])
         again = (unit @ (centers / np.linalg.norm(centers, axis=1, keepdims=True)).T).argmax(axis=1)
     assert (again == labels).all()
-    found, k, ratio = grouping(unit @ unit.T, GroupParams())
+    found, k, ratio = grouping(unit @ unit.T, GroupParams(merge_all_at=0.99))
     assert k == 3 and ratio == pytest.approx(cluster_quality(unit @ unit.T, found))
 
 
