@@ -216,7 +216,8 @@ def test_decontamination(spark, block):
 
 @pytest.mark.parametrize("rare,crowd", [(8, 32), (1, 1)])
 @pytest.mark.parametrize("width,percent", [(3, 90), (5, 80)])
-def test_ngram_join(spark, rare, crowd, width, percent):
+def test_ngram_join(spark, monkeypatch, rare, crowd, width, percent):
+    monkeypatch.setattr(ngram_join, "BROADCAST_IDS", 0 if rare == 1 else 1000)
     r = rng(8)
     words = vocabulary(r)
     base = [[r.choice(words) for _ in range(r.randint(3, 90))] for _ in range(6)]
