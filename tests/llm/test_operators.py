@@ -323,6 +323,29 @@ def test_chunk_dedup(spark):
     assert got[900]["text"] == "" and got[901]["text"] is None and got[902]["text"] == ""
 
 
+def test_chunk_dedup_cuts_short_passages_and_short_copies(spark):
+    r = rng(11)
+    passages = [" ".join("".join(r.choice("abcdeé") for _ in range(r.randint(1, 3))) for _ in range(51)) for _ in range(60)]
+    passages += [" ".join(r.choice("abcdefgh") for _ in range(51)) for _ in range(20)]  # 101 bytes
+    docs = []
+    for k, p in enumerate(passages):
+        for copy in range(2):
+            ends = ["".join(r.choice("klmnopqr ") for _ in range(r.randint(40, 150))) for _ in range(2)]
+            docs.append((2 * k + copy, f"{ends[0]}{'sS'[copy]} {p} {'tT'[copy]}{ends[1]}"))
+    short = ["x", "Kurz – ja", "forty bytes that are here a second time.", "z" * 90, "w" * 32 + "ß" * 31]
+    docs += [(1000 + i, short[i % 5]) for i in range(15)] + [(None, "null id, once"), (None, "null id, twice"), (7000, "null id, twice"), (7000, "null id, twice")]
+    got = {x["doc_id"]: x for x in chunk_dedup.deduplicated(spark.createDataFrame(docs[: len(docs) - 4], "doc_id long, text string")).collect()}
+    for k, p in enumerate(passages):
+        assert got[2 * k]["n_removed"] == 0
+        text = docs[2 * k + 1][1]
+        assert got[2 * k + 1]["text"] == text.replace(f" {p} ", ""), k
+    for i in range(15):
+        assert got[1000 + i]["text"] == ("" if i >= 5 else short[i])
+        assert got[1000 + i]["n_removed"] == (len(short[i % 5].encode()) if i >= 5 else 0)
+    odd = chunk_dedup.deduplicated(spark.createDataFrame(docs[-4:], "doc_id long, text string")).collect()
+    assert sorted((x["doc_id"] or 0, x["text"]) for x in odd) == [(0, "null id, once"), (0, "null id, twice"), (7000, ""), (7000, "")]
+
+
 def test_chunks_resist_insertions():
     data = "".join(rng(5).choice("abcdefgh ") for _ in range(4000)).encode()
     cut = lambda b: {b[a:e] for a, e in zip([0, *chunk_dedup.chunk_ends(np.frombuffer(b, np.uint8), np.array([0, len(b)]))[0][:-1]], chunk_dedup.chunk_ends(np.frombuffer(b, np.uint8), np.array([0, len(b)]))[0])}
