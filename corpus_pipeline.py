@@ -31,18 +31,20 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps the document with the least id of each group linked by five-word shingles at 0.8 or more.
 
-    Documents without a word, and those without an id, have no links and stay. Repeated rows of one
-    id stand for one document: one of them stays, the least by its other columns.
+    Documents without a word, and those without an id, have no links and stay. Rows that share an
+    id are documents of their own where their texts differ; of rows alike in id and text one stays,
+    the least by its other columns.
     """
-    count = fresh("count", docs)
-    named = docs.where("doc_id IS NOT NULL")
-    if not named.groupBy("doc_id").agg(F.count(F.lit(1)).alias(count)).where(F.col(count) > 1).isEmpty():
-        others = [c for c in docs.columns if c != "doc_id"]
+    named, key = docs.where("doc_id IS NOT NULL"), "doc_id"
+    if ngram_join.ids_repeat(named):
+        others = [c for c in docs.columns if c not in ("doc_id", "text")]
         order = F.struct(*[F.coalesce(F.col(c).cast("string"), F.lit("")) for c in others])
-        named = named.groupBy("doc_id").agg(*[F.min_by(F.col(c), order).alias(c) for c in others]).select(*docs.columns)
-    groups = ngram_join.jaccard_components(named, width=5, percent=80)
-    kept = groups.where("doc_id = component_id").select("doc_id")
-    return named.join(kept, "doc_id", "left_semi").select(*docs.columns).unionByName(docs.where("doc_id IS NULL"))
+        named = named.groupBy("doc_id", "text").agg(*[F.min_by(F.col(c), order).alias(c) for c in others]) if others else named.distinct()
+        key = fresh("number", docs)
+        named = ngram_join.numbered(named.select(*docs.columns), key)
+    groups = ngram_join.jaccard_components(named.select(F.col(key).alias("doc_id"), "text"), width=5, percent=80)
+    kept = groups.where("doc_id = component_id").select(F.col("doc_id").alias(key))
+    return named.join(kept, key, "left_semi").select(*docs.columns).unionByName(docs.where("doc_id IS NULL"))
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

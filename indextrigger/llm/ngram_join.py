@@ -139,17 +139,36 @@ def components(links: DataFrame) -> DataFrame:
     return out.withColumnRenamed("hi", "node").unionByName(roots.withColumn("component", F.col("node")))
 
 
+def ids_repeat(docs: DataFrame) -> bool:
+    """Whether rows share an id that is not null."""
+    return not docs.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.count(F.lit(1)).alias("c")).where("c > 1").isEmpty()
+
+
+def numbered(docs: DataFrame, number: str) -> DataFrame:
+    """The rows, written with distinct numbers that rise with (id, text)."""
+    order = [F.col("doc_id"), F.col("text")]
+    return written(docs.repartitionByRange(*order).sortWithinPartitions(*order).withColumn(number, F.monotonically_increasing_id()), "numbered")
+
+
 def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, rare: int = 8, crowd: int = 32) -> DataFrame:
     """``doc_id, text`` -> ``doc_id, n_shingles, node, component_id``, one row per input row.
 
     Two documents link when ``100 * |A and B| >= percent * |A or B|`` over their sets of
     ``width``-word shingles, A-Z lowered. A text of fewer words is one shingle of all of them.
     Null, empty or blank texts have no shingle, link with nothing and are their own
-    component. Ids must be distinct where they are not null; a row with a null id keeps its
-    size, links nothing and has a null component. ``node`` is the least id with the same
-    set. Empty input gives no rows; other columns are ignored.
+    component. A row with a null id keeps its size, links nothing and has a null component.
+    Rows that share an id are told apart by number: each links by its own text. ``node`` is
+    the least id with the same set. Empty input gives no rows; other columns are ignored.
     """
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    if ids_repeat(texts):
+        rows = numbered(texts.where("doc_id IS NOT NULL"), "number")
+        by_number = rows.select(F.col("number").alias("doc_id"), "text").unionByName(texts.where("doc_id IS NULL"))
+        groups = jaccard_components(by_number, width, percent, rare, crowd)
+        for c in ("doc_id", "node", "component_id"):
+            ids = rows.select(F.col("number").alias(c), F.col("doc_id").alias("id"))
+            groups = groups.join(ids, c, "left").drop(c).withColumnRenamed("id", c)
+        return groups.select("doc_id", "n_shingles", "node", "component_id")
     found = written(sketches(texts, width, percent, False), "members")
     reps = found.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("digest").agg(F.min("doc_id").alias("node"))
     reps = written(reps, "reps")

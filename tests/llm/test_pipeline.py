@@ -3,7 +3,7 @@
 import corpus_pipeline
 from pyspark.sql import functions as F
 
-from indextrigger.llm import decontamination
+from indextrigger.llm import decontamination, ngram_join
 
 
 def test_stages(spark, small):
@@ -31,3 +31,14 @@ def test_edges(spark, small):
     assert got.columns == docs.columns and sorted((r["doc_id"] or 0) for r in got.collect()) == [0, 1, 2, 3]
     for _, stage in corpus_pipeline.STAGES:
         assert stage(spark, docs.limit(0), small).count() == 0
+
+
+def test_rows_that_share_an_id(spark, small):
+    texts = ["a b c d e f g", "quite another text that stands under one id", "a b c d e f g", "a third text of the same id as before", "", None, ""]
+    rows = [(5, texts[0], "en", "s"), (5, texts[1], "en", "s"), (1, texts[2], "en", "s"), (5, texts[3], "en", "t"), (5, texts[3], "en", "s"), (5, "", "en", "s"), (5, None, None, None), (5, "", "en", "s"), (7, texts[1], "en", "s")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    got = [tuple(r) for r in corpus_pipeline.near_duplicate_stage(spark, docs, small).collect()]
+    want = [rows[2], rows[1], rows[4], rows[5], rows[6]]
+    assert sorted(got, key=str) == sorted(want, key=str)
+    links = sorted((r["doc_id"], r["n_shingles"], r["component_id"]) for r in ngram_join.jaccard_components(docs).collect())
+    assert links == sorted([(5, 3, 1), (5, 4, 5), (1, 3, 1), (5, 5, 5), (5, 5, 5), (5, 0, 5), (5, 0, 5), (5, 0, 5), (7, 4, 5)])
