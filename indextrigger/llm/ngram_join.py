@@ -8,6 +8,8 @@ hash is the signature. A set with a frequent hash there extends its prefix to
 neighbours of the order. That long a prefix has more shared hashes than the two sets
 have differences, so two shared ones follow each other in both, and the pair
 meets in that combination; a set has as many combinations as hashes, not their square.
+Below ``COMBINED_FROM`` percent the set may cap its prefix before that holds; there
+the plain prefix is indexed by single hashes alone, frequent ones included.
 
 Hashes of at most ``rare`` sets and combinations of at most ``crowd`` give pairs. A larger
 bucket is never paired up: each member is compared with the least member, its hub, and keeps its difference from
@@ -34,6 +36,8 @@ from .storage import table, written
 
 #: Ids that are sent to all executors to pick or leave out texts; beyond that rows are shuffled.
 BROADCAST_IDS = 1_000_000
+#: The least percentage at which combinations of neighbours lose no pair.
+COMBINED_FROM = 67
 WORDS = K.byte_table(K.SPACED, lower=True)
 
 MEMBERS = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("n_shingles", T.LongType()), T.StructField("digest", T.BinaryType())])
@@ -186,12 +190,15 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, rare:
     counted = plain.groupBy("sig").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
     shared = written(plain.join(counted, "sig"), "singles")
     singles = shared.where(F.col("c") <= rare).select("sig", "node", "n")
-    common = shared.where(F.col("c") > rare).select("node").distinct()
-    ahead = F.slice("lead", F.lit(2), F.greatest(F.size("lead") - 1, F.lit(1)))
-    pairs_of = F.zip_with(F.slice("lead", F.lit(1), F.size("lead") - 1), ahead, lambda x, y: F.xxhash64(x, y))
-    combined = nodes.join(common, "node", "left_semi").where("size(lead) > 1").select("node", "n", F.explode(pairs_of).alias("sig"))
-    met = combined.groupBy("sig").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
-    met = written(combined.join(met, "sig"), "combined")
+    if percent < COMBINED_FROM:
+        met = shared.where(F.col("c") > rare)
+    else:
+        common = shared.where(F.col("c") > rare).select("node").distinct()
+        ahead = F.slice("lead", F.lit(2), F.greatest(F.size("lead") - 1, F.lit(1)))
+        pairs_of = F.zip_with(F.slice("lead", F.lit(1), F.size("lead") - 1), ahead, lambda x, y: F.xxhash64(x, y))
+        combined = nodes.join(common, "node", "left_semi").where("size(lead) > 1").select("node", "n", F.explode(pairs_of).alias("sig"))
+        met = combined.groupBy("sig").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
+        met = written(combined.join(met, "sig"), "combined")
     small = singles.unionByName(met.where(F.col("c") <= crowd).select("sig", "node", "n"))
     a, b = (small.select("sig", F.col("node").alias(x), F.col("n").alias(f"n_{x}")) for x in "ab")
     fits = sizes_fit(F.col("n_a"), F.col("n_b"), percent)

@@ -301,6 +301,23 @@ def test_long_document_blocks(monkeypatch):
     assert sorted(starts) == list(range(len(data) - 199))
 
 
+@pytest.mark.parametrize("percent", [50, 66])
+def test_jaccard_below_two_thirds(spark, percent):
+    r = rng(17)
+    docs = [(i, " ".join(r.sample("abcdefg", r.randint(1, 4)))) for i in range(40)]
+    docs += [(100, "x z"), (101, "x y z"), (102, "v"), (103, "v w")] + [(200 + i, " ".join([c, *(f"u{i}{j}" for j in range(9))])) for i, c in enumerate("xzv" * 10)]
+    sets = {i: set(t.split()) for i, t in docs}
+    root = {i: i for i in sets}
+    for _ in sets:
+        for i, a in sets.items():
+            for j, b in sets.items():
+                if 100 * len(a & b) >= percent * len(a | b):
+                    root[i] = root[j] = min(root[i], root[j])
+    for rare, crowd in ((8, 32), (2, 3)):
+        got = ngram_join.jaccard_components(spark.createDataFrame(docs, "doc_id long, text string"), 1, percent, rare, crowd).collect()
+        assert {x["doc_id"]: x["component_id"] for x in got} == root
+
+
 def test_chunk_dedup(spark):
     r = rng(3)
     words = vocabulary(r, 5000)
