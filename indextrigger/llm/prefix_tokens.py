@@ -3,9 +3,8 @@
 A byte-pair encoding of a piece is the only chain of tokens in which every two
 neighbours would also stay apart when encoded alone. So the last token of the encoding of
 each prefix follows from those of shorter prefixes: among the tokens that end there, it
-is the one that its predecessor tolerates. The pass stores the count at *every*
-prefix; the count of a text, of a truncation, or the longest prefix within a budget are
-look-ups. Texts are first split into the pieces that merges never cross; the counts of
+is the one that its predecessor tolerates. Of the counts at all prefixes of a piece only
+the last is kept, so truncations and budgets encode the last pieces anew. Texts are first split into the pieces that merges never cross; the counts of
 a piece are kept in a bounded memo, as most pieces recur.
 """
 
@@ -163,7 +162,7 @@ class PrefixCounter:
 
 
 class PrefixTable:
-    """Counts at the piece borders of one text; those inside a piece come from its own prefixes."""
+    """Counts at the piece borders of one text; a length inside a piece encodes the last pieces anew."""
 
     def __init__(self, counter: PrefixCounter, text: str, ends: list[int], counts: list[int]):
         self.counter, self.text, self.ends, self.counts = counter, text, ends, counts
