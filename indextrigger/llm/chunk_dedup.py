@@ -98,8 +98,7 @@ def chunk_rows(texts: DataFrame, ids: list[str]) -> DataFrame:
             ends, counts = chunk_ends(raw, cuts)
             docs = np.repeat(np.arange(end - row), counts)
             starts = np.concatenate([[0], ends[:-1]]) if len(ends) else ends
-            sums, down = K.span_hashes(raw)
-            hashes = K.span_hash(sums, down, np.maximum(starts - _ROLL, cuts[docs]), ends).view(np.int64)
+            hashes = K.digests(raw, np.maximum(starts - _ROLL, cuts[docs]), ends).view(np.int64)
             yield [*[pa.array(x[row + docs]) for x in own], *[pa.array(x.astype(np.int32)) for x in (starts - cuts[docs], ends - starts)], pa.array(hashes)]
 
     return exploded_by_arrow(texts.select(*ids, "text"), schema, kernel)
@@ -151,8 +150,8 @@ CUT = T.StructType([T.StructField("doc_id", T.LongType()), *[T.StructField(c, T.
 def deduplicated(docs: DataFrame, min_run: int = 96) -> DataFrame:
     """``doc_id, text`` -> ``doc_id, n_bytes, n_chunks, n_shared_chunks, n_removed, kept_sha256, text``, one row per input row.
 
-    ``text`` is what stays; ``n_shared_chunks`` counts chunks that, with the 32 bytes before them,
-    stand anywhere else too, the first holder included. The first holder is the least (id, hash
+    ``text`` is what stays; ``n_shared_chunks`` counts chunks that are cut out at least in part and, where
+    the document is the first holder, those of runs that, with the 32 bytes before them, have ``min_run`` bytes. The first holder is the least (id, hash
     of the text, position); a null id comes before all. Rows alike in id and text count as one
     document. A null text counts as empty and stays null. Empty input gives no rows; other
     columns are ignored.
@@ -167,19 +166,25 @@ def deduplicated(docs: DataFrame, min_run: int = 96) -> DataFrame:
     asked = runs.where("first_start IS NOT NULL").select(*held).distinct().groupBy(*[F.col(f"first_{c}").alias(c) for c in ids]).agg(F.collect_list(F.struct("first_start", "size")).alias("asked"))
     answers = runs.join(holders_bytes(texts, asked, ids), held, "left")
     answer = F.when(F.col("digest").isNotNull(), F.struct("start", "size", "digest", "before", "after"))
-    found = answers.groupBy(*ids).agg(F.sum("n").alias("shared"), F.collect_list(answer).alias("found"))
+    held_runs = F.when(F.col("first_start").isNull() & (F.col("size") + _ROLL >= min_run), F.col("n"))
+    found = answers.groupBy(*ids).agg(F.sum(held_runs).alias("shared"), F.collect_list(answer).alias("found"))
 
     def kernel(batch: pa.RecordBatch) -> Iterator[list[pa.Array]]:
         at = batch.schema.get_field_index
         data, offsets, nulls = K.text_column(batch.column(at("text")))
         doc, shared, found = (batch.column(at(c)) for c in ("doc_id", "shared", "found"))
         for row, end, raw, cuts in K.pieces(data, offsets):
-            _, counts = chunk_ends(raw, cuts)
+            ends, counts = chunk_ends(raw, cuts)
+            last = np.cumsum(counts)
             out = []
             for d in range(end - row):
                 text = raw[cuts[d] : cuts[d + 1]].tobytes()
-                kept, removed = _cut(text, found[row + d].as_py() or (), min_run)
-                out.append((doc[row + d].as_py(), len(text), int(counts[d]), shared[row + d].as_py() or 0, removed, hashlib.sha256(kept).hexdigest(), None if nulls[row + d] else kept.decode()))
+                spans = _removed(text, found[row + d].as_py() or (), min_run)
+                own_ends = ends[last[d] - counts[d] : last[d]] - cuts[d]
+                touched = sum(int(np.searchsorted(own_ends, b, "left") - np.searchsorted(own_ends, a, "right")) + 1 for a, b in spans)
+                kept = b"".join(text[a:b] for a, b in zip([0, *[b for _, b in spans]], [*[a for a, _ in spans], len(text)]))
+                shared_chunks = min(int(counts[d]), touched + (shared[row + d].as_py() or 0))
+                out.append((doc[row + d].as_py(), len(text), int(counts[d]), shared_chunks, len(text) - len(kept), hashlib.sha256(kept).hexdigest(), None if nulls[row + d] else kept.decode()))
             yield [pa.array(c, t) for c, t in zip(zip(*out), [pa.int64()] * 5 + [pa.string()] * 2)]
 
     return exploded_by_arrow(texts.join(found, ids, "left").select(*texts.columns, "shared", "found"), CUT, kernel)
@@ -207,22 +212,15 @@ def _matches(text: bytes, found: list[dict]) -> Iterator[tuple[int, int]]:
         yield s, e
 
 
-def _cut(text: bytes, found: list[dict], min_run: int) -> tuple[bytes, int]:
-    """The text without its matches, joined where they touch, and the bytes removed."""
+def _removed(text: bytes, found: list[dict], min_run: int) -> list[tuple[int, int]]:
+    """The matches, joined where they touch, that have ``min_run`` bytes or are the whole text."""
     joined: list[list[int]] = []
     for s, e in sorted(_matches(text, found)):
         if joined and s <= joined[-1][1]:
             joined[-1][1] = max(joined[-1][1], e)
         else:
             joined.append([s, e])
-    kept, at = [], 0
-    for s, e in joined:
-        if e - s >= min_run or e - s == len(text):
-            kept.append(text[at:s])
-            at = e
-    kept.append(text[at:])
-    whole = b"".join(kept)
-    return whole, len(text) - len(whole)
+    return [(s, e) for s, e in joined if e - s >= min_run or e - s == len(text)]
 
 
 def op1_content_chunks(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -12,23 +12,16 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 
 #: Bytes of text that one vectorised step handles; a longer document makes a piece alone.
 PIECE_BYTES = 1 << 19
 
-_BASE = 0x9E3779B97F4A7C15  # any odd number has an inverse modulo 2**64
-_INVERSE = pow(_BASE, -1, 1 << 64)
-_powers = {"up": np.ones(1, np.uint64), "down": np.ones(1, np.uint64)}
-_BYTE_CODES, _OTHER_CODES = np.random.default_rng(20240817).integers(1, 2**64, (2, 256), dtype=np.uint64)
-
-
-def powers(n: int, kind: str = "up") -> np.ndarray:
-    """The first ``n`` powers of the hash base (``up``) or of its inverse (``down``)."""
-    if len(_powers[kind]) < n:
-        steps = np.full(max(n, PIECE_BYTES + 4096), _BASE if kind == "up" else _INVERSE, np.uint64)
-        steps[0] = 1
-        _powers[kind] = np.cumprod(steps, dtype=np.uint64)
-    return _powers[kind][:n]
+_ODD = np.uint64(0x9E3779B97F4A7C15)
+_HALF = np.uint64(32)
+#: Words beyond this many bytes are hashed one by one.
+LONG_WORD = 256
+_LANE_MASKS = np.array([(1 << 8 * k) - 1 for k in range(9)], np.uint64)
 
 
 def mixed(h: np.ndarray) -> np.ndarray:
@@ -105,13 +98,46 @@ def words(data: np.ndarray, offsets: np.ndarray, table: np.ndarray) -> tuple[np.
     first[joined] = True
     last[joined - 1] = True
     starts, ends = np.flatnonzero(first), np.flatnonzero(last) + 1
-    sums = np.zeros(n + 1, np.uint64)
-    np.cumsum(_BYTE_CODES[codes - 1 & 0xFF] * (codes != 0) * powers(n), out=sums[1:])
-    hashes = mixed((sums[ends] - sums[starts]) * powers(n, "down")[starts])
-    return starts, ends, hashes, np.searchsorted(starts, offsets).astype(np.int64)
+    spelled = (codes - 1).astype(np.uint8)
+    return starts, ends, slice_hashes(spelled, starts, ends), np.searchsorted(starts, offsets).astype(np.int64)
+
+
+def lanes(data: np.ndarray) -> np.ndarray:
+    """The eight bytes from every place on as one number; zeros follow the end."""
+    padded = np.zeros(len(data) + 8, np.uint8)
+    padded[: len(data)] = data
+    return np.ndarray((len(data) + 1,), "<u8", padded, strides=(1,))
+
+
+def slice_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of the bytes of each slice, mixed eight at a time after the length.
+
+    No sum over bytes is taken, so no choice of letters cancels out; slices of more than
+    ``LONG_WORD`` bytes go through xxh3.
+    """
+    sizes = ends - starts
+    hashes = mixed(sizes.astype(np.uint64) * _ODD)
+    eight, left, at, rows = lanes(data), sizes, starts, np.flatnonzero((sizes > 0) & (sizes <= LONG_WORD))
+    left, at = left[rows], at[rows]
+    while len(rows):
+        hashes[rows] = mixed((hashes[rows] ^ (eight[at] & _LANE_MASKS[np.minimum(left, 8)])) * _ODD)
+        more = left > 8
+        rows, left, at = rows[more], left[more] - 8, at[more] + 8
+    raw = memoryview(np.ascontiguousarray(data))
+    for i in np.flatnonzero(sizes > LONG_WORD).tolist():
+        hashes[i] = xxhash.xxh3_64_intdigest(raw[int(starts[i]) : int(ends[i])])
+    return hashes
+
 
+def digests(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """xxh3 of each slice, for slices of some dozens of bytes and more."""
+    raw, one = memoryview(np.ascontiguousarray(data)), xxhash.xxh3_64_intdigest
+    return np.fromiter((one(raw[a:b]) for a, b in zip(starts.tolist(), ends.tolist())), np.uint64, len(starts))
 
-_TURNS = [np.uint64(pow(0xD6E8FEB86659FD93, k + 1, 1 << 64)) for k in range(64)]
+
+def followed(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """One number for two in this order; the first goes through a bijection that is not linear."""
+    return (a ^ (a >> _HALF)) * _ODD + b
 
 
 def grams(hashes: np.ndarray, k: int) -> np.ndarray:
@@ -121,10 +147,22 @@ def grams(hashes: np.ndarray, k: int) -> np.ndarray:
         return np.zeros(0, np.uint64)
     total = np.full(n, np.uint64(k), np.uint64)
     for j in range(k):
-        total += hashes[j : j + n] * _TURNS[j]
+        total = followed(total, hashes[j : j + n])
     return mixed(total)
 
 
+def window_hashes(data: np.ndarray, width: int) -> np.ndarray:
+    """A hash of every string of ``width`` bytes, eight at least, from hashes of its halves; the last two may overlap."""
+    n = len(data) - width + 1
+    if n <= 0:
+        return np.zeros(0, np.uint64)
+    found, span = mixed(lanes(data)[: len(data) - 7]), 8
+    while span < width:
+        step = min(span, width - span)
+        found, span = followed(found[: len(found) - step], found[step:]), span + step
+    return mixed(found)
+
+
 def lists(values: np.ndarray, lengths: np.ndarray, kind: pa.DataType) -> pa.Array:
     """An Arrow list column from flat values and the length of every row."""
     ends = np.concatenate([[0], np.cumsum(lengths)]).astype(np.int32)
@@ -144,15 +182,3 @@ def sliding_least(x: np.ndarray, w: int, greatest: bool = False) -> np.ndarray:
     ahead = best.accumulate(blocks, axis=1).ravel()
     behind = best.accumulate(blocks[:, ::-1], axis=1)[:, ::-1].ravel()
     return best(behind[: n - w + 1], ahead[w - 1 : n])
-
-
-def span_hashes(data: np.ndarray, salt: int = 0) -> tuple[np.ndarray, np.ndarray]:
-    """Prefix sums for :func:`span_hash` of any substring, and the inverse powers they need."""
-    sums = np.zeros(len(data) + 1, np.uint64)
-    np.cumsum((_OTHER_CODES if salt else _BYTE_CODES)[data] * powers(len(data)), out=sums[1:])
-    return sums, powers(len(data) + 1, "down")
-
-
-def span_hash(sums: np.ndarray, down: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """A 64-bit hash of each substring [start, end), the same wherever it stands."""
-    return mixed((sums[ends] - sums[starts]) * down[starts])

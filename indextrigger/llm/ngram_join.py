@@ -4,44 +4,50 @@ Documents with one set become one node, so groups of copies cost one row. The so
 hashes of a set are its global order. Two sets of Jaccard similarity t share a hash
 within their first ``(1-t)n + 1`` hashes. If a hash shared there is rare, that single
 hash is the signature. A set with a frequent hash there extends its prefix to
-``(1-t)n + (1-t)n/t + 2`` hashes and is indexed by combinations instead: each two
-neighbours of the order. That long a prefix has more shared hashes than the two sets
-have differences, so two shared ones follow each other in both, and the pair
-meets in that combination; a set has as many combinations as hashes, not their square.
+``(1-t)n + (k-1)((1-t)n/t + 1) + 1`` hashes and is indexed by combinations instead: each k
+neighbours of the order. That long a prefix has so many more shared hashes than the two sets
+have differences that k shared ones follow each other in both, and the pair
+meets in that combination; a set has as many combinations as hashes, not their power.
+Two neighbours come first. A set with a frequent pair is indexed once more by runs of up to ``DEEPEST``,
+as many as its size allows, so that a passage that many different texts share makes small buckets.
 Below ``COMBINED_FROM`` percent the set may cap its prefix before that holds; there
 the plain prefix is indexed by single hashes alone, frequent ones included.
 
-Hashes of at most ``rare`` sets and combinations of at most ``crowd`` give pairs. A larger
-bucket is never paired up: each member is compared with the least member, its hub, and keeps its difference from
-it. Members linked to the hub are connected already; any other member is compared
-with those of the same hub by the two differences, inside the join's condition.
-Candidates are first tested on their prefixes, then on their whole sets, rebuilt
-from the texts. Links are closed to components by rounds of hooking and shortcutting.
+Links are gathered as a spanning set. First every member of a bucket is compared with
+the least member, its hub; the links found are closed to components. Then only members
+of different components are compared: in buckets of at most ``crowd`` pair by pair, in
+larger ones by their differences from the hub, inside the join's condition, and what that finds is told as links
+of components. Candidates are first tested on their prefixes, then on their whole sets,
+rebuilt from the texts. Components come from rounds of hooking and shortcutting.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import kernels as K
 from .arrow_rows import exploded_by_arrow
-from .storage import table, written
+from .storage import Scratch, table, written
 
 #: Ids that are sent to all executors to pick or leave out texts; beyond that rows are shuffled.
 BROADCAST_IDS = 1_000_000
 #: The least percentage at which combinations of neighbours lose no pair.
 COMBINED_FROM = 67
+#: The most hashes of a combination.
+DEEPEST = 5
 WORDS = K.byte_table(K.SPACED, lower=True)
 
 MEMBERS = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("n_shingles", T.LongType()), T.StructField("digest", T.BinaryType())])
 SKETCHES = T.StructType([*MEMBERS.fields, T.StructField("lead", T.ArrayType(T.LongType(), False))])
+DEEP = T.StructType([T.StructField(c, T.LongType()) for c in ("node", "n", "sig")])
 SETS = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("hashes", T.ArrayType(T.LongType(), False))])
 
 
@@ -56,11 +62,30 @@ def shingle_sets(data: np.ndarray, offsets: np.ndarray, width: int) -> Iterator[
             yield K.grams(hashes[a:b], int(b - a)).view(np.int64)[: int(b > a)]
 
 
-def prefix_sizes(n: int, percent: int) -> tuple[int, int]:
-    """Lengths of the plain prefix and of the extended one for sets of n hashes."""
+def prefix_size(n: int, percent: int, k: int) -> int:
+    """Length of the prefix in which sets of n hashes and any similar one have k shared neighbours (one for k = 1)."""
     lost = n * (100 - percent) // 100
     apart = n * (100 - percent) // percent
-    return min(n, lost + 1), min(n, lost + apart + 2)
+    return lost + (k - 1) * (apart + 1) + 1
+
+
+@lru_cache(100_000)
+def depth(n: int, percent: int) -> int:
+    """The most neighbours, two at least, for which the prefix fits into a set of n hashes."""
+    return max([2, *(k for k in range(3, DEEPEST + 1) if prefix_size(n, percent, k) <= n)])
+
+
+@lru_cache(100_000)
+def depths(n: int, percent: int) -> tuple[int, ...]:
+    """The depths of all sets that are not larger than n and can be similar: a pair meets at that of the smaller set."""
+    return tuple(sorted({depth(m, percent) for m in range(-(-n * percent // 100), n + 1)}))
+
+
+def combinations(found: np.ndarray, percent: int) -> np.ndarray:
+    """Hashes of the runs of neighbours by which a set is indexed when its pairs are frequent."""
+    n = len(found)
+    runs = [K.grams(found[: min(n, prefix_size(n, percent, k))].view(np.uint64), k) for k in depths(n, percent)]
+    return np.unique(np.concatenate(runs)).view(np.int64)
 
 
 def sketches(docs: DataFrame, width: int, percent: int, with_lead: bool) -> DataFrame:
@@ -73,7 +98,7 @@ def sketches(docs: DataFrame, width: int, percent: int, with_lead: bool) -> Data
             for found in shingle_sets(raw, cuts, width):
                 sizes.append(len(found))
                 digests.append(xxhash.xxh3_128_digest(found.tobytes()))
-                leads.append(found[: prefix_sizes(len(found), percent)[1]])
+                leads.append(found[: min(len(found), prefix_size(len(found), percent, 2))])
             flat = np.concatenate(leads)
             lead = [K.lists(flat, np.fromiter(map(len, leads), np.int64), pa.int64())] if with_lead else []
             yield [batch.column(0).slice(row, end - row), pa.array(sizes, pa.int64()), pa.array(digests, pa.binary()), *lead]
@@ -81,6 +106,20 @@ def sketches(docs: DataFrame, width: int, percent: int, with_lead: bool) -> Data
     return exploded_by_arrow(docs, SKETCHES if with_lead else MEMBERS, kernel)
 
 
+def deep_combinations(docs: DataFrame, width: int, percent: int) -> DataFrame:
+    def kernel(batch: pa.RecordBatch) -> Iterator[list[pa.Array]]:
+        ids = np.asarray(batch.column(0))
+        data, offsets, _ = K.text_column(batch.column(1))
+        for row, end, raw, cuts in K.pieces(data, offsets):
+            sets = list(shingle_sets(raw, cuts, width))
+            found = [combinations(x, percent) for x in sets]
+            lengths = np.fromiter(map(len, found), np.int64)
+            sizes = np.fromiter(map(len, sets), np.int64)
+            yield [pa.array(np.repeat(ids[row:end], lengths)), pa.array(np.repeat(sizes, lengths)), pa.array(np.concatenate(found))]
+
+    return exploded_by_arrow(docs, DEEP, kernel)
+
+
 def whole_sets(docs: DataFrame, width: int) -> DataFrame:
     def kernel(batch: pa.RecordBatch) -> Iterator[list[pa.Array]]:
         data, offsets, _ = K.text_column(batch.column(1))
@@ -121,10 +160,15 @@ def components(links: DataFrame) -> DataFrame:
     """``a, b`` -> ``node, component``: the least node that links reach, for every node of a link.
 
     Rounds of large-star and small-star steps on a written table of edges, until a round
-    changes nothing; the driver sees two numbers a round.
+    changes nothing; the driver sees two numbers a round. The first step ties the lower
+    neighbours of a node to the least of them, which leaves about one edge a node.
     """
-    edges = written(links.select(F.greatest("a", "b").alias("hi"), F.least("a", "b").alias("lo")).where("hi <> lo").distinct(), "edges")
-    seen = None
+    scratch = Scratch(links.sparkSession)
+    given = links.select(F.greatest("a", "b").alias("hi"), F.least("a", "b").alias("lo")).where("hi <> lo").distinct()
+    given = given.withColumn("least", F.min("lo").over(Window.partitionBy("hi")))
+    tied = given.select("hi", F.col("least").alias("lo")).union(given.select(F.col("lo").alias("hi"), F.col("least").alias("lo"))).where("hi <> lo").distinct()
+    edges = scratch.keep(tied, "edges-0")
+    seen, turn = None, 0
     while True:
         both = edges.union(edges.select(F.col("lo").alias("hi"), F.col("hi").alias("lo")))
         least = both.groupBy("hi").agg(F.least(F.min("lo"), F.col("hi")).alias("least")).withColumnRenamed("hi", "node")
@@ -133,7 +177,8 @@ def components(links: DataFrame) -> DataFrame:
         # Small star: what a node is tied to is tied to the least of them.
         lower = large.groupBy("hi").agg(F.min("lo").alias("least"))
         small = large.join(lower, "hi").select(F.explode(F.array(F.struct(F.col("hi").alias("hi"), F.col("least").alias("lo")), F.struct(F.col("lo").alias("hi"), F.col("least").alias("lo")))).alias("e")).select("e.*").where("hi <> lo").distinct()
-        edges = written(small, "edges")
+        edges, turn = scratch.keep(small, f"edges-{turn + 1}"), turn + 1
+        scratch.drop(f"edges-{turn - 1}")
         state = tuple(edges.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.xxhash64("hi", "lo").cast("decimal(38,0)")), F.lit(0))).first())
         if state == seen:
             break
@@ -173,69 +218,145 @@ def jaccard_components(docs: DataFrame, width: int = 5, percent: int = 80, rare:
             ids = rows.select(F.col("number").alias(c), F.col("doc_id").alias("id"))
             groups = groups.join(ids, c, "left").drop(c).withColumnRenamed("id", c)
         return groups.select("doc_id", "n_shingles", "node", "component_id")
-    found = written(sketches(texts, width, percent, False), "members")
-    reps = found.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("digest").agg(F.min("doc_id").alias("node"))
-    reps = written(reps, "reps")
-    copies = written(found.join(reps, "digest").where("doc_id <> node").select("doc_id"), "copies")
+    scratch = Scratch(docs.sparkSession)
+    found = scratch.keep(sketches(texts, width, percent, False), "members")
+    reps = scratch.keep(found.where("n_shingles > 0 AND doc_id IS NOT NULL").groupBy("digest").agg(F.min("doc_id").alias("node")), "reps")
     named = texts.where("doc_id IS NOT NULL")
+    nodes = distinct_sets(named, found, reps, width, percent, scratch)
+    joined = _Join(named, nodes, width, percent, crowd, scratch)
+    buckets = joined.buckets(rare)
+    star, differences, links = joined.hub_links(buckets)
+    first = scratch.keep(components(links), "first")
+    more = joined.pair_links(buckets, star, first).unionByName(joined.hub_rest(differences, first))
+    second = components(scratch.keep(more.distinct(), "more"))
+    groups = first.join(second.select(F.col("node").alias("component"), F.col("component").alias("further")), "component", "left")
+    groups = groups.select("node", F.coalesce("further", "component").alias("component"))
+    alone = second.join(first, "node", "left_anti")  # nodes whose first links came last
+    groups = scratch.keep(groups.unionByName(alone), "groups")
+    scratch.drop(*(set(scratch.paths) - {"members", "reps", "groups"}))
+    members = found.join(reps, "digest", "left")
+    members = members.select("doc_id", "n_shingles", F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("node")).otherwise(F.col("doc_id")).alias("node"))
+    return members.join(groups, "node", "left").select("doc_id", "n_shingles", "node", F.coalesce("component", "node").alias("component_id"))
+
+
+def distinct_sets(named: DataFrame, found: DataFrame, reps: DataFrame, width: int, percent: int, scratch: Scratch) -> DataFrame:
+    """``node, n, lead``: one row for each different set, with its extended prefix."""
+    copies = scratch.keep(found.join(reps, "digest").where("doc_id <> node").select("doc_id"), "copies")
     if copies.count() <= BROADCAST_IDS:  # copies are left out on the way, and prefixes need no shuffle
         nodes = sketches(named.join(F.broadcast(copies), "doc_id", "left_anti"), width, percent, True).where("n_shingles > 0")
         nodes = nodes.select(F.col("doc_id").alias("node"), F.col("n_shingles").alias("n"), "lead")
     else:
         nodes = sketches(named, width, percent, True).where("n_shingles > 0").groupBy("digest")
         nodes = nodes.agg(F.min("doc_id").alias("node"), F.any_value("n_shingles").alias("n"), F.any_value("lead").alias("lead")).drop("digest")
-    nodes = written(nodes, "nodes")
-    short = F.expr(f"least(n, n * {100 - percent} div 100 + 1)").cast("int")
-    plain = nodes.select("node", "n", F.explode(F.slice("lead", F.lit(1), short)).alias("sig"))
-    counted = plain.groupBy("sig").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
-    shared = written(plain.join(counted, "sig"), "singles")
-    singles = shared.where(F.col("c") <= rare).select("sig", "node", "n")
-    if percent < COMBINED_FROM:
-        met = shared.where(F.col("c") > rare)
-    else:
-        common = shared.where(F.col("c") > rare).select("node").distinct()
+    nodes = scratch.keep(nodes, "nodes")
+    scratch.drop("copies")
+    return nodes
+
+
+class _Join:
+    """The steps from sets to links; each result is written, and counts by a key are written before they are joined,
+    so that a key with very many rows can be split."""
+
+    def __init__(self, named: DataFrame, nodes: DataFrame, width: int, percent: int, crowd: int, scratch: Scratch):
+        self.named, self.nodes, self.width, self.percent, self.crowd, self.scratch = named, nodes, width, percent, crowd, scratch
+
+    def counted(self, rows: DataFrame, tag: str) -> DataFrame:
+        """``sig, node, n`` of signatures of two sets and more, with their number ``c`` and least member ``hub, n_hub``."""
+        sizes = rows.groupBy("sig").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("node", "n")).alias("least")).where("c > 1")
+        sizes = self.scratch.keep(sizes.select("sig", "c", F.col("least.node").alias("hub"), F.col("least.n").alias("n_hub")), f"{tag}-sizes")
+        out = self.scratch.keep(rows.join(sizes, "sig"), tag)
+        self.scratch.drop(f"{tag}-sizes")
+        return out
+
+    def picked(self, rows: DataFrame, key: str, ids: DataFrame) -> DataFrame:
+        """The rows whose key is among the ids, which are sent to all executors if they are few."""
+        return rows.join(F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids, key, "left_semi")
+
+    def buckets(self, rare: int) -> DataFrame:
+        nodes, percent = self.nodes, self.percent
+        short = F.expr(f"least(n, n * {100 - percent} div 100 + 1)").cast("int")
+        plain = nodes.select("node", "n", F.explode(F.slice("lead", F.lit(1), short)).alias("sig"))
+        shared = self.counted(plain, "singles")
+        if percent < COMBINED_FROM:
+            return shared
+        common = self.scratch.keep(shared.where(F.col("c") > rare).select("node").distinct(), "common")
         ahead = F.slice("lead", F.lit(2), F.greatest(F.size("lead") - 1, F.lit(1)))
         pairs_of = F.zip_with(F.slice("lead", F.lit(1), F.size("lead") - 1), ahead, lambda x, y: F.xxhash64(x, y))
-        combined = nodes.join(common, "node", "left_semi").where("size(lead) > 1").select("node", "n", F.explode(pairs_of).alias("sig"))
-        met = combined.groupBy("sig").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
-        met = written(combined.join(met, "sig"), "combined")
-    small = singles.unionByName(met.where(F.col("c") <= crowd).select("sig", "node", "n"))
-    a, b = (small.select("sig", F.col("node").alias(x), F.col("n").alias(f"n_{x}")) for x in "ab")
-    fits = sizes_fit(F.col("n_a"), F.col("n_b"), percent)
-    pairs = a.join(b, "sig").where((F.col("a") < F.col("b")) & fits).select("a", "b").distinct()
-    large = met.where(F.col("c") > crowd).select("sig", "node")
-    to_hub = large.join(large.groupBy("sig").agg(F.min("node").alias("hub")), "sig").where("hub <> node").select(F.col("hub").alias("a"), F.col("node").alias("b")).distinct()
-    pairs = written(pairs, "pairs")
-    to_hub = written(to_hub, "hubs")
-    lead = lambda x: nodes.select(F.col("node").alias(x), F.col("n").alias(f"n_{x}"), F.col("lead").alias(f"lead_{x}"))
-    near = pairs.join(lead("a"), "a").join(lead("b"), "b").where(leads_fit(F.col("lead_a"), F.col("n_a"), F.col("lead_b"), F.col("n_b"), percent)).select("a", "b", F.lit(False).alias("hub"))
-    asked = written(near.unionByName(to_hub.withColumn("hub", F.lit(True))).groupBy("a", "b").agg(F.max("hub").alias("hub")), "asked")
-    wanted = written(asked.select(F.col("a").alias("doc_id")).union(asked.select("b")).distinct(), "wanted")
-    if wanted.count() <= BROADCAST_IDS:
-        wanted = F.broadcast(wanted)
-    sets = written(whole_sets(texts.where("doc_id IS NOT NULL").join(wanted, "doc_id", "left_semi"), width), "sets")
-    whole = lambda x: sets.select(F.col("doc_id").alias(x), F.col("hashes").alias(f"set_{x}"))
-    judged = asked.join(whole("a"), "a").join(whole("b"), "b")
-    only = lambda x, y: F.array_except(f"set_{x}", f"set_{y}")
-    linked = similar(F.size(F.array_intersect("set_a", "set_b")), F.size("set_a"), F.size("set_b"), percent)
-    difference = F.when(F.col("hub"), F.concat(only("a", "b"), only("b", "a")))
-    judged = written(judged.select("a", "b", "hub", linked.alias("linked"), F.size("set_b").cast("long").alias("n"), difference.alias("difference")), "judged")
-    links = judged.where("linked").select("a", "b")
-    star = judged.where("hub").select(F.col("a").alias("center"), F.col("b").alias("node"), "n", "linked", "difference")
-    x, y = (star.select("center", *[F.col(c).alias(f"{c}_{s}") for c in ("node", "n", "linked", "difference")]) for s in "xy")
-    apart = F.size("difference_x") + F.size("difference_y")
-    # |X or Y| - |X and Y| is what the two differences from the hub do not share.
-    differ = apart - 2 * F.size(F.array_intersect("difference_x", "difference_y"))
-    total = F.col("n_x") + F.col("n_y")
-    room = total - 2 * least_shared(F.col("n_x"), F.col("n_y"), percent)
-    once = F.col("linked_y") | (F.col("node_x") < F.col("node_y"))
-    possible = F.abs(F.size("difference_x") - F.size("difference_y")) <= room
-    rest = x.where("NOT linked_x").join(y, "center").where((F.col("node_x") != F.col("node_y")) & once & sizes_fit(F.col("n_x"), F.col("n_y"), percent) & possible & (differ <= room))
-    links = links.unionByName(rest.select(F.col("node_x").alias("a"), F.col("node_y").alias("b")))
-    groups = components(links)
-    members = found.select("doc_id", "n_shingles", "digest").join(reps, "digest", "left")
-    members = members.select("doc_id", "n_shingles", F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("node")).otherwise(F.col("doc_id")).alias("node"))
-    return members.join(groups, "node", "left").select("doc_id", "n_shingles", "node", F.coalesce("component", "node").alias("component_id"))
+        combined = self.picked(nodes, "node", common).where("size(lead) > 1").select("node", "n", F.explode(pairs_of).alias("sig"))
+        met = self.counted(combined, "combined")
+        crowded = self.scratch.keep(met.where(F.col("c") > self.crowd).select(F.col("node").alias("doc_id")).distinct(), "crowded")
+        deep = self.scratch.keep(deep_combinations(self.picked(self.named, "doc_id", crowded), self.width, percent), "deep-rows")
+        deep = self.counted(deep, "deep")
+        self.scratch.drop("deep-rows", "common", "crowded")
+        return shared.where(F.col("c") <= rare).unionByName(met.where(F.col("c") <= self.crowd)).unionByName(deep)
+
+    def near(self, pairs: DataFrame, tag: str) -> DataFrame:
+        """The pairs ``a, b`` that their prefixes leave possible."""
+        ids = self.scratch.keep(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct(), f"{tag}-ids")
+        held = self.picked(self.nodes, "node", ids)
+        lead = lambda x: held.select(F.col("node").alias(x), F.col("n").alias(f"n_{x}"), F.col("lead").alias(f"lead_{x}"))
+        fits = leads_fit(F.col("lead_a"), F.col("n_a"), F.col("lead_b"), F.col("n_b"), self.percent)
+        return pairs.join(lead("a"), "a").join(lead("b"), "b").where(fits).select("a", "b")
+
+    def judged(self, asked: DataFrame, tag: str) -> DataFrame:
+        """``a, b, hub`` -> the pairs with ``linked`` by their whole sets and, for hubs, ``n`` of b and the ``difference``."""
+        asked = self.scratch.keep(asked, f"{tag}-asked")
+        ids = self.scratch.keep(asked.select(F.col("a").alias("doc_id")).union(asked.select("b")).distinct(), f"{tag}-wanted")
+        sets = self.scratch.keep(whole_sets(self.picked(self.named, "doc_id", ids), self.width), f"{tag}-sets")
+        whole = lambda x: sets.select(F.col("doc_id").alias(x), F.col("hashes").alias(f"set_{x}"))
+        both = asked.join(whole("a"), "a").join(whole("b"), "b")
+        only = lambda x, y: F.array_except(f"set_{x}", f"set_{y}")
+        linked = similar(F.size(F.array_intersect("set_a", "set_b")), F.size("set_a"), F.size("set_b"), self.percent)
+        difference = F.when(F.col("hub"), F.concat(only("a", "b"), only("b", "a")))
+        out = self.scratch.keep(both.select("a", "b", "hub", linked.alias("linked"), F.size("set_b").cast("long").alias("n"), difference.alias("difference")), tag)
+        self.scratch.drop(f"{tag}-asked", f"{tag}-wanted", f"{tag}-sets", f"{tag}-ids")
+        return out
+
+    def hub_links(self, buckets: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
+        """All pairs of a hub and a member, the differences in large buckets, and the links found."""
+        large = F.col("c") > self.crowd
+        to_hub = buckets.where((F.col("hub") != F.col("node")) & (large | sizes_fit(F.col("n"), F.col("n_hub"), self.percent)))
+        star = self.scratch.keep(to_hub.groupBy(F.col("hub").alias("a"), F.col("node").alias("b")).agg(F.max(large).alias("hub")), "star")
+        asked = self.near(star.where("NOT hub").select("a", "b"), "judged").withColumn("hub", F.lit(False)).unionByName(star.where("hub"))
+        judged = self.judged(asked, "judged")
+        return star, judged.where("hub"), judged.where("linked").select("a", "b")
+
+    def pair_links(self, buckets: DataFrame, star: DataFrame, first: DataFrame) -> DataFrame:
+        """Links of components between members of small buckets that no hub has tied together."""
+        rows = buckets.where(F.col("c").between(3, self.crowd)).join(first, "node", "left")
+        rows = rows.select("sig", "node", "n", F.coalesce("component", "node").alias("component"))
+        a, b = (rows.select("sig", *[F.col(c).alias(f"{c}_{x}") for c in ("node", "n", "component")]) for x in "ab")
+        fits = (F.col("node_a") < F.col("node_b")) & (F.col("component_a") != F.col("component_b")) & sizes_fit(F.col("n_a"), F.col("n_b"), self.percent)
+        pairs = a.join(b, "sig").where(fits).select(F.col("node_a").alias("a"), F.col("node_b").alias("b")).distinct()
+        pairs = self.scratch.keep(pairs.join(star.select("a", "b"), ["a", "b"], "left_anti"), "pairs")
+        judged = self.judged(self.near(pairs, "paired").withColumn("hub", F.lit(False)), "paired").where("linked").select("a", "b")
+        return contracted(judged, first)
+
+    def hub_rest(self, differences: DataFrame, first: DataFrame) -> DataFrame:
+        """Links of components between members of large buckets, by what they do not share with their hub.
+
+        One of the two is not linked to the hub, and no link ties them together so far."""
+        percent = self.percent
+        star = differences.select(F.col("a").alias("center"), F.col("b").alias("node"), "n", "linked", "difference").join(first, "node", "left")
+        star = star.withColumn("component", F.coalesce("component", "node"))
+        x, y = (star.select("center", *[F.col(c).alias(f"{c}_{s}") for c in ("node", "n", "linked", "difference", "component")]) for s in "xy")
+        apart = F.size("difference_x") + F.size("difference_y")
+        # |X or Y| - |X and Y| is what the two differences from the hub do not share.
+        differ = apart - 2 * F.size(F.array_intersect("difference_x", "difference_y"))
+        total = F.col("n_x") + F.col("n_y")
+        room = total - 2 * least_shared(F.col("n_x"), F.col("n_y"), percent)
+        once = F.col("linked_y") | (F.col("node_x") < F.col("node_y"))
+        possible = F.abs(F.size("difference_x") - F.size("difference_y")) <= room
+        others = (F.col("component_x") != F.col("component_y")) & once & sizes_fit(F.col("n_x"), F.col("n_y"), percent) & possible & (differ <= room)
+        rest = x.where("NOT linked_x").join(y, "center").where(others)
+        return rest.select(F.col("component_x").alias("a"), F.col("component_y").alias("b"))
+
+
+def contracted(links: DataFrame, groups: DataFrame) -> DataFrame:
+    """Links between nodes as links between their components."""
+    of = lambda x: groups.select(F.col("node").alias(x), F.col("component").alias(f"component_{x}"))
+    both = links.join(of("a"), "a", "left").join(of("b"), "b", "left")
+    return both.select(F.coalesce("component_a", "a").alias("a"), F.coalesce("component_b", "b").alias("b"))
 
 
 def op9_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -30,6 +30,26 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+class Scratch:
+    """Tables written between the steps of one call, by tag; those that no later step reads can be dropped at once."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.paths = spark, {}
+
+    def keep(self, df: DataFrame, tag: str) -> DataFrame:
+        path = f"{shared_folder(self.spark)}/{tag}-{uuid.uuid4().hex}"
+        df.write.option("compression", "zstd").parquet(path)
+        self.paths.setdefault(tag, []).append(path)
+        return self.spark.read.schema(df.schema).parquet(path)
+
+    def drop(self, *tags: str) -> None:
+        context = self.spark.sparkContext
+        for tag in tags:
+            for path in self.paths.pop(tag, ()):
+                held = context._jvm.org.apache.hadoop.fs.Path(path)
+                held.getFileSystem(context._jsc.hadoopConfiguration()).delete(held, True)
+
+
 def fresh(name: str, *frames: DataFrame) -> str:
     """The name, or one with underscores added, that no column of the frames has."""
     taken = {c.lower() for df in frames for c in df.columns}

@@ -8,13 +8,15 @@ bucketed in three steps, each only on what the one before left open:
    This depends on the string alone, so equal strings belong to equal grams at equal
    offsets. Neighbouring strings of one gram make an *interval*: one row for about 75
    suffixes. Intervals are bucketed by their gram; singletons are final.
-2. Buckets are refined by a hash of the whole interval. An interval that
-   occurs twice is removed as a whole. A bucket that falls into several classes
-   is left open, with one context (the bytes of its interval) for each class.
-3. The suffixes of open contexts are refined exactly: buckets of 50-grams become
-   dense identifiers, those of 100 bytes come from sorting pairs of identifiers at
-   i and i + 50, and those of 200 bytes from pairs of *these* at i and i + 100.
-   Suffixes alone in their bucket drop out between the steps.
+2. Buckets are refined by a second, unrelated hash of the whole interval (128 bits with
+   that of the gram). An interval that occurs twice is removed as a whole. A bucket that
+   falls into several classes is left open, with one context (the bytes of its interval)
+   for each class.
+3. The suffixes of open contexts are refined by bucket pointers: buckets of grams get
+   dense identifiers; sorting pairs of identifiers at i and i + step gives those of
+   strings ``step`` bytes longer, which the next round sorts in turn, until the
+   full width is reached (50, 100, 200 bytes; any other width takes its own steps).
+   Suffixes alone in their bucket drop out between the rounds.
 
 The texts are shuffled once, by a key from their hash and length; the reading of
 contexts and the final cut share that exchange.
@@ -35,7 +37,8 @@ from . import kernels as K
 from .arrow_rows import exploded_by_arrow
 from .storage import table, written
 
-GRAM = 50
+#: The least width of strings: a gram is a quarter, and holds eight bytes at least.
+LEAST_WIDTH = 32
 #: Open classes of one gram that one task refines; a bucket of more is counted by a shuffle of its suffixes.
 BUCKET_CLASSES = 8192
 #: Bytes of contexts that are refined together.
@@ -49,16 +52,32 @@ CONTEXTS = T.StructType([T.StructField("gram", T.LongType()), T.StructField("cla
 SPANS = T.StructType([T.StructField("key", T.LongType()), T.StructField("n_bytes", T.IntegerType()), T.StructField("start", T.IntegerType()), T.StructField("end", T.IntegerType())])
 
 
+def gram_of(width: int) -> int:
+    return width // 4
+
+
+def rounds(width: int) -> tuple[list[int], list[list[int]]]:
+    """Bytes that each round adds, and before and after each the offsets in a string whose identifiers it needs."""
+    steps, span = [], gram_of(width)
+    while span < width:
+        steps.append(min(span, width - span))
+        span += steps[-1]
+    offsets = [[0]]
+    for step in reversed(steps):
+        offsets.append(sorted({o + s for o in offsets[-1] for s in (0, step)}))
+    return steps, offsets[::-1]
+
+
 def intervals(data: np.ndarray, offsets: np.ndarray, width: int) -> tuple[np.ndarray, ...]:
     """Document, first string, number of strings, offset of the gram in the first, gram hash, interval hash."""
-    n, span = len(data), width - GRAM + 1
+    n, gram = len(data), gram_of(width)
+    span = width - gram + 1
     if n < width:
         return tuple(np.zeros(0, np.int64) for _ in range(4)) + (np.zeros(0, np.uint64),) * 2
-    sums, down = K.span_hashes(data)
-    at = np.arange(n - GRAM + 1)
-    grams = K.mixed((sums[GRAM:] - sums[:-GRAM]) * down[: n - GRAM + 1])
+    at = np.arange(n - gram + 1)
+    grams = K.window_hashes(data, gram)
     ends = np.repeat(offsets[1:], np.diff(offsets))
-    grams[at + GRAM > ends[: len(at)]] = np.uint64(2**64 - 1)
+    grams[at + gram > ends[: len(at)]] = np.uint64(2**64 - 1)
     least = K.sliding_least((grams & ~_INDEX) | at.astype(np.uint64), span)
     starts = np.flatnonzero(np.arange(len(least)) + width <= ends[: len(least)])
     owner = (least[starts] & _INDEX).astype(np.int64)
@@ -70,7 +89,7 @@ def intervals(data: np.ndarray, offsets: np.ndarray, width: int) -> tuple[np.nda
     counts = np.diff(np.concatenate([heads, [len(starts)]]))
     first, owner = starts[heads], owner[heads]
     ahead = owner - first
-    whole = K.span_hash(sums, down, first, first + counts - 1 + width)
+    whole = K.digests(data, first, first + counts - 1 + width)
     whole = K.mixed(whole ^ (ahead.astype(np.uint64) << np.uint64(32)) ^ counts.astype(np.uint64))
     docs = np.searchsorted(offsets, first, "right") - 1
     return docs, first - offsets[docs], counts, ahead, grams[owner], whole
@@ -108,32 +127,30 @@ def dense(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 def refined(data: np.ndarray, starts: np.ndarray, width: int) -> np.ndarray:
     """Whether the string of ``width`` bytes at each start occurs at another of the starts.
 
-    ``width`` is four grams. Starts are positions in ``data``; their strings may overlap.
+    Starts are positions in ``data``; their strings may overlap.
     """
-    sums, down = K.span_hashes(data)
+    steps, offsets = rounds(width)
     repeated = np.zeros(len(starts), bool)
     alive = np.arange(len(starts))
-    half = width // 2
 
-    def places(wanted: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-        """The wanted positions in order, and for every byte how many stand before it."""
+    def places(wanted: list[int]) -> tuple[np.ndarray, np.ndarray]:
+        """The positions at the wanted offsets of living strings, in order, and the slot of every byte among them."""
         mark = np.zeros(len(data) + 1, bool)
-        for w in wanted:
-            mark[w] = True
+        for o in wanted:
+            mark[starts[alive] + o] = True
         return np.flatnonzero(mark), np.cumsum(mark, dtype=np.int32) - 1
 
-    where, slot = places([starts + shift for shift in range(0, width, GRAM)])
-    ids, sizes = dense(K.span_hash(sums, down, where, where + GRAM))
-    for shift in range(0, width, GRAM):
-        alive = alive[sizes[slot[starts[alive] + shift]] > 1]
-    grams, gram_slot = ids, slot
-    where, slot = places([starts[alive], starts[alive] + half])
-    ids, sizes = dense(grams[gram_slot[where]] << 32 | grams[gram_slot[where + GRAM]])
-    for shift in (0, half):
-        alive = alive[sizes[slot[starts[alive] + shift]] > 1]
-    if len(alive):
-        _, sizes = dense(ids[slot[starts[alive]]] << 32 | ids[slot[starts[alive] + half]])
-        repeated[alive[sizes > 1]] = True
+    where, slot = places(offsets[0])
+    ids, sizes = dense(K.window_hashes(data, gram_of(width))[where])
+    for o in offsets[0]:
+        alive = alive[sizes[slot[starts[alive] + o]] > 1]
+    for step, wanted in zip(steps, offsets[1:]):
+        shorter, shorter_slot = ids, slot
+        where, slot = places(wanted)
+        ids, sizes = dense(shorter[shorter_slot[where]] << 32 | shorter[shorter_slot[where + step]])
+        for o in wanted:
+            alive = alive[sizes[slot[starts[alive] + o]] > 1]
+    repeated[alive] = True
     return repeated
 
 
@@ -190,9 +207,10 @@ def refine_spread(contexts: DataFrame, width: int) -> DataFrame:
             part = {c: v[lo : lo + 4096] for c, v in held.items()}
             data, starts, owner = _flat(part["bytes"], width)
             origin = np.searchsorted(owner, np.arange(len(part["key"])))
-            sums, down = K.span_hashes(data)
+            half = -(-width // 2)
+            halves = K.window_hashes(data, half).view(np.int64)
             at = np.array(part["first"], np.int64)[owner] + np.arange(len(owner)) - origin[owner]
-            ends = [K.span_hash(sums, down, starts + a, starts + b).view(np.int64) for a, b in ((0, width // 2), (width // 2, width))]
+            ends = [halves[starts], halves[starts + width - half]]
             yield [pa.array(x) for x in (np.array(part["key"], np.int64)[owner], np.array(part["n_bytes"], np.int32)[owner], at.astype(np.int32), np.array(part["sure"], bool)[owner], *ends)]
 
     rows = exploded_by_arrow(contexts, suffixes, kernel)
@@ -203,13 +221,14 @@ def refine_spread(contexts: DataFrame, width: int) -> DataFrame:
 def repeated_spans(texts: DataFrame, width: int, bucket_classes: int = BUCKET_CLASSES) -> DataFrame:
     """``key, n_bytes, text`` -> ``key, n_bytes, start, end`` of repeated strings, overlapping."""
     found = written(all_intervals(texts.where(F.col("n_bytes") >= width).select("key", "text"), width), "intervals")
-    twice = found.groupBy("gram").agg(F.count(F.lit(1)).alias("c")).where("c > 1").drop("c")
+    # What is counted by a key is written before it is joined, so that a key with very many rows can be split.
+    twice = written(found.groupBy("gram").agg(F.count(F.lit(1)).alias("c")).where("c > 1").drop("c"), "twice")
     bucketed = written(found.join(twice, "gram", "left_semi"), "bucketed")
     classes = bucketed.groupBy("gram", "whole").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("key", "n_bytes", "first", "count")).alias("own"))
     classes = written(classes, "classes")
     certain = bucketed.join(classes.where("c > 1").select("gram", "whole"), ["gram", "whole"], "left_semi")
     certain = certain.select("key", "n_bytes", F.col("first").alias("start"), (F.col("first") + F.col("count") + (width - 1)).alias("end")).distinct()
-    several = classes.groupBy("gram").agg(F.count(F.lit(1)).alias("classes")).where("classes > 1")
+    several = written(classes.groupBy("gram").agg(F.count(F.lit(1)).alias("classes")).where("classes > 1"), "several")
     asked = classes.join(several, "gram").groupBy("own.key", "own.n_bytes").agg(F.collect_list(F.struct("gram", "classes", F.col("own.first").alias("first"), F.col("own.count").alias("count"), (F.col("c") > 1).alias("sure"))).alias("asked"))
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -245,10 +264,10 @@ def without_repeats(docs: DataFrame, width: int = 200, keep_text: bool = False,
     Strings are judged on the input, every copy of a repeated string goes, and strings never
     cross documents. A null text counts as empty; texts under ``width`` bytes keep
     everything; two equal texts lose everything. Ids are only carried: they may be null or
-    repeated. ``width`` is a multiple of four grams of 50 bytes. Empty input gives no rows.
+    repeated. ``width`` is ``LEAST_WIDTH`` bytes or more. Empty input gives no rows.
     """
-    if width != 4 * GRAM:
-        raise ValueError("the refinement doubles twice from grams of 50 bytes: width is 200")
+    if width < LEAST_WIDTH:
+        raise ValueError(f"strings of {LEAST_WIDTH} bytes or more are told apart, not of {width}")
     text = F.coalesce("text", F.lit(""))
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("key"), F.octet_length(text).alias("n_bytes"), text.alias("text"))
     spans = repeated_spans(texts, width, bucket_classes).groupBy("key", "n_bytes").agg(F.collect_list(F.struct("start", "end")).alias("spans"))

@@ -191,7 +191,7 @@ def test_token_counts_equal_the_library(spark):
         assert [held.table(text).tokens(k) for k in range(len(text) + 1)] == [count(text[:k]) for k in range(len(text) + 1)]
 
 
-@pytest.mark.parametrize("block", [1 << 20, 300])
+@pytest.mark.parametrize("block", [1 << 20, 30])
 def test_decontamination(spark, block):
     r = rng(5)
     words = vocabulary(r, 40)
@@ -380,3 +380,49 @@ def test_word_kernel_matches_patterns():
         assert list(np.diff(bounds)) == [len(w) for w in want]
         flat = [w for ws in want for w in ws]
         assert len({(w, int(h)) for w, h in zip(flat, hashes)}) == len(set(flat)) == len(set(map(int, hashes)))
+
+
+def thue_morse(letters, n=1024):
+    return "".join(letters[bin(i).count("1") % 2] for i in range(n))
+
+
+def test_words_that_defeat_sums_of_powers_stay_apart(spark):
+    """Two words of 1,024 letters that any polynomial hash modulo 2**64 takes for one."""
+    pair = [thue_morse("ab"), thue_morse("ba")]
+    raw = "".join(pair).encode()
+    data = np.frombuffer(raw, np.uint8)
+    spans = np.array([0, 1024]), np.array([1024, 2048])
+    for found in (K.slice_hashes(data, *spans), K.digests(data, *spans), K.window_hashes(data, 1024)[spans[0]], K.grams(data[:1024].astype(np.uint64), 512)[:2]):
+        assert found[0] != found[1]
+    docs = spark.createDataFrame(list(enumerate(pair, 1)), "doc_id long, text string")
+    assert {x["doc_id"]: x["component_id"] for x in ngram_join.jaccard_components(docs, 3, 90).collect()} == {1: 1, 2: 2}
+    got = sorted((x["n_bytes"], x["n_removed"], x["n_spans"], x["kept_sha256"]) for x in suffix_repeats.without_repeats(docs).collect())
+    assert got == sorted(brute_repeats(pair))
+    hashes = [x["hash"] for x in chunk_dedup.chunk_rows(docs, ["doc_id"]).where("at = 0").collect()]
+    assert hashes[0] != hashes[1]
+
+
+@pytest.mark.parametrize("width", [32, 75, 200, 333])
+def test_suffix_refinement_of_any_width(width):
+    r = rng(width)
+    parts = ["".join(r.choice("ab") for _ in range(60)) for _ in range(6)]
+    data = np.frombuffer("".join(r.choice(parts)[r.randrange(40) :] for _ in range(200)).encode(), np.uint8)
+    starts = np.arange(len(data) - width + 1)
+    raw = data.tobytes()
+    count = collections.Counter(raw[p : p + width] for p in starts)
+    assert suffix_repeats.refined(data, starts, width).tolist() == [count[raw[p : p + width]] > 1 for p in starts]
+
+
+def test_benchmark_of_tens_of_megabytes_stays_small():
+    r = rng(12)
+    items = [(str(i), " ".join(f"w{r.randrange(10**6)}" for _ in range(1000))) for i in range(1000)]
+    held = decontamination.Prints(items)
+    assert held.nbytes() < 48 * 1_000_000 and len(held.grams) < 0.36 * 1_000_000
+
+
+def test_empty_benchmark_and_repeated_documents(spark):
+    docs = spark.createDataFrame([(1, "a b c"), (1, "a b c"), (None, None)], "doc_id long, text string")
+    none = decontamination.contamination(docs, spark.createDataFrame([], "item_id long, text string")).collect()
+    assert [x["contaminated"] for x in none] == [False] * 3
+    some = decontamination.contamination(docs, spark.createDataFrame([(4, "B C"), (5, None)], "item_id long, text string")).collect()
+    assert sorted((x["n_words"], x["n_hit"], x["items"]) for x in some) == [(0, 0, []), (3, 2, ["4"]), (3, 2, ["4"])]
