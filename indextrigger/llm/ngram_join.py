@@ -261,9 +261,9 @@ class _Join:
         self.named, self.nodes, self.width, self.percent, self.crowd, self.scratch = named, nodes, width, percent, crowd, scratch
 
     def counted(self, rows: DataFrame, tag: str) -> DataFrame:
-        """``sig, node, n`` of signatures of two sets and more, with their number ``c`` and least member ``hub, n_hub``."""
-        sizes = rows.groupBy("sig").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("node", "n")).alias("least")).where("c > 1")
-        sizes = self.scratch.keep(sizes.select("sig", "c", F.col("least.node").alias("hub"), F.col("least.n").alias("n_hub")), f"{tag}-sizes")
+        """``sig, node, n`` of signatures of two sets and more, with their number ``c`` and least member ``hub``."""
+        sizes = rows.groupBy("sig").agg(F.count(F.lit(1)).alias("c"), F.min("node").alias("hub")).where("c > 1")
+        sizes = self.scratch.keep(sizes, f"{tag}-sizes")
         out = self.scratch.keep(rows.join(sizes, "sig"), tag)
         self.scratch.drop(f"{tag}-sizes")
         return out
@@ -296,7 +296,8 @@ class _Join:
         held = self.picked(self.nodes, "node", ids)
         lead = lambda x: held.select(F.col("node").alias(x), F.col("n").alias(f"n_{x}"), F.col("lead").alias(f"lead_{x}"))
         fits = leads_fit(F.col("lead_a"), F.col("n_a"), F.col("lead_b"), F.col("n_b"), self.percent)
-        return pairs.join(lead("a"), "a").join(lead("b"), "b").where(fits).select("a", "b")
+        both = pairs.join(lead("a"), "a").join(lead("b"), "b")
+        return both.where(sizes_fit(F.col("n_a"), F.col("n_b"), self.percent) & fits).select("a", "b")
 
     def judged(self, asked: DataFrame, tag: str) -> DataFrame:
         """``a, b, hub`` -> the pairs with ``linked`` by their whole sets and, for hubs, ``n`` of b and the ``difference``."""
@@ -315,8 +316,7 @@ class _Join:
     def hub_links(self, buckets: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
         """All pairs of a hub and a member, the differences in large buckets, and the links found."""
         large = F.col("c") > self.crowd
-        to_hub = buckets.where((F.col("hub") != F.col("node")) & (large | sizes_fit(F.col("n"), F.col("n_hub"), self.percent)))
-        star = self.scratch.keep(to_hub.groupBy(F.col("hub").alias("a"), F.col("node").alias("b")).agg(F.max(large).alias("hub")), "star")
+        star = self.scratch.keep(buckets.where("hub <> node").groupBy(F.col("hub").alias("a"), F.col("node").alias("b")).agg(F.max(large).alias("hub")), "star")
         asked = self.near(star.where("NOT hub").select("a", "b"), "judged").withColumn("hub", F.lit(False)).unionByName(star.where("hub"))
         judged = self.judged(asked, "judged")
         return star, judged.where("hub"), judged.where("linked").select("a", "b")

@@ -16,6 +16,8 @@ def shared_folder(spark: SparkSession) -> str:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         folder = held.get() if held.isDefined() else None
     if not folder:
+        if not spark.sparkContext.master.startswith("local["):
+            raise RuntimeError("spark.checkpoint.dir names no folder, and executors would not see a temporary one of this machine")
         folder = tempfile.mkdtemp(prefix="indextrigger-")
         spark.sparkContext.setCheckpointDir(folder)
     return folder.rstrip("/")
