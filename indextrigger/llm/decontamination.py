@@ -161,7 +161,7 @@ def benchmark_blocks(benchmark: DataFrame, block_words: int = BLOCK_WORDS) -> It
     bound unless one item does.
     """
     rows = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("null")).alias("item"), F.coalesce("text", F.lit("")).alias("text")).distinct()
-    rows = rows.withColumn("words", F.regexp_count("text", F.lit(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"))).where("words > 0")
+    rows = rows.withColumn("words", F.regexp_count("text", F.lit(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"))).where("words > 0")
     total = rows.agg(F.sum("words")).first()[0] or 0
     if total <= block_words:
         yield [(r["item"], r["text"]) for r in rows.collect()]
