@@ -1,15 +1,16 @@
 """Operator 3: a quality classifier by co-training.
 
-Two classifiers see different sides of a document: one its words and runs of symbols,
-one its page metadata (language, source, length and layout figures). Both
-start from the labelled rows. In each round both mark rows of an unlabelled pool, and
-each learns from the rows of which the *other* is most sure. At the end both are
-calibrated on labelled rows that neither learnt from, and a document's probability of being
-bad is that at least one calibrated view finds it bad.
-
-Training uses bounded samples, chosen by a hash of the id (``TRAIN_ROWS`` labelled,
-``POOL_ROWS`` unlabelled), and at most ``MAX_TERMS`` terms; scoring covers every whole
-text in one pass without a shuffle, with a model of bounded size.
+Two classifiers see different sides of a document: one its text (words, runs of symbols, layout
+figures), one its page metadata (language, source, size). Both
+start from the labelled rows. In each round both score all unlabelled documents, and
+each learns from the documents of which the *other* is most sure. At the end both are
+calibrated on labelled rows that nothing was fitted on, terms and bins included, and the calibrated
+views are combined: their log-odds against the share of bad rows add up.
+
+The labelled rows are a bounded sample, chosen by a hash of the id (``TRAIN_ROWS``), with at most
+``MAX_TERMS`` terms, and a round hands over at most ``EXCHANGED`` documents for each class and
+view, the surest of the whole corpus. Scoring covers every whole text in one pass without a shuffle,
+with a model of bounded size; the rounds read a table of the columns that are on in each document.
 """
 
 from __future__ import annotations
@@ -20,18 +21,18 @@ from dataclasses import dataclass, field
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import kernels as K
 from .arrow_rows import exploded_by_arrow, with_arrow_columns
-from .storage import table, written
+from .storage import Scratch, table, written
 
-#: Bounds of training: labelled rows, unlabelled rows, and terms of the content view.
-TRAIN_ROWS, POOL_ROWS, MAX_TERMS = 20_000, 10_000, 4_000
+#: Bounds of training: labelled rows, terms of the text view, and documents handed over by a view in a round for a class.
+TRAIN_ROWS, MAX_TERMS, EXCHANGED = 20_000, 4_000, 1_000
 #: A term must tell the classes apart by at least this log-likelihood ratio.
-LEAST_RATIO = 25.0
+LEAST_RATIO = 10.0
 BINS, NAME_CELLS = 12, 32
 LAYOUT = ("log_bytes", "log_words", "bytes_per_word", "lines_per_word", "upper", "symbols", "digits", "repeated_words", "repeated_lines")
 
@@ -140,43 +141,80 @@ class CoTrained:
 
     term_hashes: np.ndarray
     bounds: np.ndarray
+    size_bounds: np.ndarray
     content: Linear
     metadata: Linear
     scales: tuple[tuple[float, float], tuple[float, float]] = ((1.0, 0.0), (1.0, 0.0))
+    prior: float = 0.5
     threshold: float = 0.5
 
+    @classmethod
+    def blank(cls, term_hashes: np.ndarray, bounds: np.ndarray, size_bounds: np.ndarray) -> "CoTrained":
+        return cls(term_hashes, bounds, size_bounds, Linear(len(term_hashes) + len(LAYOUT) * BINS), Linear(BINS + 1 + 2 * NAME_CELLS))
+
     def content_cells(self, raw: np.ndarray, cuts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(document, column) of the terms that a document has and of the bins of its figures."""
         docs, hashes = terms(raw, cuts)
-        if not len(self.term_hashes) or not len(hashes):
-            return np.zeros(0, np.int64), np.zeros(0, np.int64)
-        at = np.searchsorted(self.term_hashes, hashes)
-        at[at == len(self.term_hashes)] = 0
-        hit = self.term_hashes[at] == hashes
-        pairs = np.unique(docs[hit] * len(self.term_hashes) + at[hit])
-        return pairs // len(self.term_hashes), pairs % len(self.term_hashes)
-
-    def metadata_cells(self, figures: np.ndarray, langs: list, sources: list) -> tuple[np.ndarray, np.ndarray]:
+        width = len(self.term_hashes)
+        pairs = np.zeros(0, np.int64)
+        if width and len(hashes):
+            at = np.searchsorted(self.term_hashes, hashes)
+            at[at == width] = 0
+            hit = self.term_hashes[at] == hashes
+            pairs = np.unique(docs[hit] * width + at[hit])
+        figures = layout(raw, cuts)
         n, k = figures.shape
-        cells = [j * BINS + np.searchsorted(self.bounds[j], figures[:, j], "right") for j in range(k)]
-        cells.append(k * BINS + np.fromiter(map(name_cell, langs), np.int64, n))
-        cells.append(k * BINS + NAME_CELLS + np.fromiter(map(name_cell, sources), np.int64, n))
-        return np.repeat(np.arange(n), k + 2), np.stack(cells, axis=1).ravel()
+        bins = np.stack([width + j * BINS + np.searchsorted(self.bounds[j], figures[:, j], "right") for j in range(k)], axis=1)
+        rows = np.concatenate([pairs // max(width, 1), np.repeat(np.arange(n), k)])
+        order = np.argsort(rows, kind="stable")
+        return rows[order], np.concatenate([pairs % max(width, 1), bins.ravel()])[order]
+
+    def metadata_cells(self, langs: list, sources: list, sizes: list) -> tuple[np.ndarray, np.ndarray]:
+        n = len(langs)
+        known = np.array([-1.0 if x is None else float(x) for x in sizes])
+        cells = [np.where(known < 0, BINS, np.searchsorted(self.size_bounds, known, "right"))]
+        cells.append(BINS + 1 + np.fromiter(map(name_cell, langs), np.int64, n))
+        cells.append(BINS + 1 + NAME_CELLS + np.fromiter(map(name_cell, sources), np.int64, n))
+        return np.repeat(np.arange(n), 3), np.stack(cells, axis=1).ravel()
 
     def combined(self, scores: tuple[np.ndarray, np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        a, b = (sigmoid(s * z + c) for (s, c), z in zip(self.scales, scores))
-        return a, b, 1 - (1 - a) * (1 - b)
+        odds = [a * z + b for (a, b), z in zip(self.scales, scores)]
+        both = odds[0] + odds[1] - np.log(self.prior / (1 - self.prior))
+        return sigmoid(odds[0]), sigmoid(odds[1]), sigmoid(both)
+
+
+METADATA = ("lang", "source", "n_chars")
+
 
+def with_metadata(docs: DataFrame) -> DataFrame:
+    """``docs`` with all metadata columns; those that are missing are null."""
+    kinds = {"lang": "string", "source": "string", "n_chars": "long"}
+    for c in METADATA:
+        docs = docs.withColumn(c, (F.col(c) if c in docs.columns else F.lit(None)).cast(kinds[c]))
+    return docs
+
+
+def training_rows(docs: DataFrame, labels: DataFrame, train_rows: int) -> DataFrame:
+    """``doc_id, bad, text, lang, source, n_chars``: a bounded sample of labelled documents.
+
+    Of rows that share an id the least text stands for all, so that the sample has one row for each id.
+    """
+    marks = labelled(labels).orderBy(F.xxhash64(F.lit("fit"), "doc_id"), "doc_id").limit(train_rows)
+    ids = written(marks, "fit-ids")
+    found = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"), *METADATA).join(F.broadcast(ids), "doc_id")  # train_rows ids at most
+    one = found.groupBy("doc_id", "bad").agg(F.min(F.struct("text", *METADATA)).alias("x"))
+    return written(one.select("doc_id", "bad", "x.*"), "fit-rows")
 
-def training_rows(docs: DataFrame, labels: DataFrame, train_rows: int, pool_rows: int) -> DataFrame:
-    """``doc_id, text, lang, source, bad``: bounded samples of labelled rows and, with a null label, of others."""
+
+def labelled(labels: DataFrame) -> DataFrame:
+    """``doc_id, bad``: low quality in any row of an id, or toxic in any; rows without an id or a quality are left out."""
     marks = labels.where("doc_id IS NOT NULL AND quality IS NOT NULL").groupBy("doc_id").agg((F.min("quality") == 0).alias("low"), (F.max(F.coalesce("toxic", F.lit(0))) > 0).alias("toxic"))
-    marks = marks.select("doc_id", (F.col("low") | F.col("toxic")).cast("int").alias("bad"))
-    chosen = lambda df, k: df.orderBy(F.xxhash64(F.lit("fit"), "doc_id"), "doc_id").limit(k)
-    named = docs.where("doc_id IS NOT NULL").select("doc_id")
-    pool = chosen(named.join(labels.select("doc_id").distinct(), "doc_id", "left_anti").distinct(), pool_rows).withColumn("bad", F.lit(None).cast("int"))
-    ids = written(chosen(marks, train_rows).unionByName(pool), "fit-ids")
-    texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"), "lang", "source")
-    return written(texts.join(F.broadcast(ids), "doc_id"), "fit-rows")  # train_rows + pool_rows ids at most
+    return marks.select("doc_id", (F.col("low") | F.col("toxic")).cast("int").alias("bad"))
+
+
+def held_out(doc_id: Column) -> Column:
+    """Whether a labelled row serves to calibrate, and to nothing else."""
+    return F.pmod(F.xxhash64(F.lit("calibrate"), doc_id), F.lit(4)) == 0
 
 
 def chosen_terms(rows: DataFrame, max_terms: int, least_ratio: float) -> np.ndarray:
@@ -194,12 +232,11 @@ def chosen_terms(rows: DataFrame, max_terms: int, least_ratio: float) -> np.ndar
             pairs = np.unique(np.stack([docs, hashes], axis=1), axis=0) if len(docs) else np.zeros((0, 2), np.int64)
             yield [pa.array(bad[row + pairs[:, 0]].astype(np.int32)), pa.array(pairs[:, 1])]
 
-    labelled = rows.where("bad IS NOT NULL").select("bad", "text")
-    total = labelled.agg(F.coalesce(F.sum("bad"), F.lit(0)).alias("b"), F.count(F.lit(1)).alias("n")).first()
+    total = rows.agg(F.coalesce(F.sum("bad"), F.lit(0)).alias("b"), F.count(F.lit(1)).alias("n")).first()
     b, g = float(total["b"]), float(total["n"] - total["b"])
     if not b or not g:
         return np.zeros(0, np.int64)
-    counts = exploded_by_arrow(labelled, seen, kernel).groupBy("term").agg(F.sum("bad").cast("double").alias("x"), F.count(F.lit(1)).cast("double").alias("m"))
+    counts = exploded_by_arrow(rows.select("bad", "text"), seen, kernel).groupBy("term").agg(F.sum("bad").cast("double").alias("x"), F.count(F.lit(1)).cast("double").alias("m"))
     part = lambda k, e: F.when(k > 0, k * F.log(k / e)).otherwise(0.0)
     x, m, n = F.col("x"), F.col("m"), b + g
     y = m - x
@@ -208,59 +245,130 @@ def chosen_terms(rows: DataFrame, max_terms: int, least_ratio: float) -> np.ndar
     return np.sort(np.array([r["term"] for r in best.select("term").collect()], np.int64))
 
 
-def fit(docs: DataFrame, labels: DataFrame, rounds: int = 3, train_rows: int = TRAIN_ROWS, pool_rows: int = POOL_ROWS, max_terms: int = MAX_TERMS, least_ratio: float = LEAST_RATIO, exchanged: float = 0.1, sure: float = 0.9) -> CoTrained:
-    """Fits both views. Each round hands over, of the pool, at most the share ``exchanged`` for each class, and
-    only rows of which the giving view is at least ``sure``. Without labels of both classes all documents pass."""
-    rows = training_rows(docs, labels, train_rows, pool_rows)
-    term_hashes = chosen_terms(rows, max_terms, least_ratio)
-    shape = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("bad", T.IntegerType()), T.StructField("lang", T.StringType()), T.StructField("source", T.StringType()), T.StructField("cells", T.ArrayType(T.LongType(), False)), T.StructField("figures", T.ArrayType(T.DoubleType(), False))])
-    blank = CoTrained(term_hashes, np.zeros((len(LAYOUT), BINS - 1)), Linear(len(term_hashes)), Linear(len(LAYOUT) * BINS + 2 * NAME_CELLS))
+def bins(values: np.ndarray, bad: np.ndarray) -> np.ndarray:
+    """Bounds of the bins of a figure: half follow all rows, half the bad ones, which would else share the outer bins."""
+    half = BINS // 2
+    return np.sort(np.concatenate([np.quantile(values, np.arange(1, BINS - half) / (BINS - half)), np.quantile(values[bad], np.arange(1, half + 1) / (half + 1))]))
+
+
+CELLS = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("content", T.ArrayType(T.IntegerType(), False)), T.StructField("metadata", T.ArrayType(T.IntegerType(), False))])
+
+
+def cells_of(docs: DataFrame, model: CoTrained) -> DataFrame:
+    """``doc_id, content, metadata``: the columns that are on in each view of a document, from one pass over the texts."""
+    shipped = docs.sparkSession.sparkContext.broadcast(model)
 
     def kernel(batch: pa.RecordBatch) -> Iterator[list[pa.Array]]:
-        data, offsets, _ = K.text_column(batch.column(4))
+        own = shipped.value
+        data, offsets, _ = K.text_column(batch.column(1))
         for row, end, raw, cuts in K.pieces(data, offsets):
-            docs_, cells = blank.content_cells(raw, cuts)
             n = end - row
+            found, cells = own.content_cells(raw, cuts)
+            _, meta = own.metadata_cells(*(batch.column(i).slice(row, n).to_pylist() for i in (2, 3, 4)))
+            yield [batch.column(0).slice(row, n), K.lists(cells.astype(np.int32), np.bincount(found, minlength=n), pa.int32()), K.lists(meta.astype(np.int32), np.full(n, 3), pa.int32())]
+
+    return exploded_by_arrow(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *METADATA), CELLS, kernel)
+
+
+@dataclass
+class Rows:
+    """Training rows: active columns of each view, and target and weight in each view."""
+
+    columns: list[list[np.ndarray]]
+    target: list[np.ndarray]
+    weight: list[np.ndarray]
+
+    def active(self, view: int) -> tuple[np.ndarray, np.ndarray]:
+        lengths = np.fromiter(map(len, self.columns[view]), np.int64, len(self.columns[view]))
+        return np.repeat(np.arange(len(lengths)), lengths), np.concatenate(self.columns[view]) if len(lengths) else np.zeros(0, np.int64)
+
+    def add(self, content: np.ndarray, metadata: np.ndarray, taker: int, label: int) -> None:
+        for view, cells in enumerate((content, metadata)):
+            self.columns[view].append(cells)
+        for view in (0, 1):
+            self.target[view] = np.append(self.target[view], label)
+            self.weight[view] = np.append(self.weight[view], 0.5 if view == taker else 0.0)
+
+
+def surest(pool: DataFrame, model: CoTrained, sure: float, exchanged: int, scratch: Scratch, tag: str) -> list:
+    """The documents of the pool of which either view is surest, at most ``exchanged`` for each view and class."""
+    shipped = pool.sparkSession.sparkContext.broadcast(model)
+
+    def kernel(batch: pa.RecordBatch) -> list[pa.Array]:
+        own, out = shipped.value, []
+        for i, view in ((1, own.content), (2, own.metadata)):
+            column = batch.column(i)
+            lengths = np.diff(np.asarray(column.offsets))
+            cells = np.asarray(column.flatten())
+            out.append(pa.array(sigmoid(view.score(np.repeat(np.arange(len(lengths)), lengths), cells, len(lengths)))))
+        return out
+
+    schema = T.StructType([T.StructField(f"p{v}", T.DoubleType()) for v in (0, 1)])
+    rated = scratch.keep(with_arrow_columns(pool, schema, kernel).groupBy("doc_id").agg(F.min("p0").alias("p0"), F.min("p1").alias("p1")), f"rated-{tag}")
+    picks = None
+    for giver in (0, 1):
+        for label in (1, 0):
+            certain = F.col(f"p{giver}") if label else 1 - F.col(f"p{giver}")
+            part = rated.where(certain >= sure).orderBy(F.desc(F.round(certain, 9)), F.xxhash64("doc_id"), "doc_id").limit(exchanged)
+            part = part.select("doc_id", F.lit(giver).alias("giver"), F.lit(label).alias("label"))
+            picks = part if picks is None else picks.unionByName(part)
+    picks = scratch.keep(picks, f"picks-{tag}")
+    picked = pool.join(F.broadcast(picks), "doc_id")  # 4 * exchanged ids at most
+    one = picked.groupBy("doc_id", "giver", "label").agg(F.min(F.struct("content", "metadata")).alias("x"))
+    found = one.select("doc_id", "giver", "label", "x.*").orderBy("giver", "label", "doc_id").collect()
+    scratch.drop(f"rated-{tag}", f"picks-{tag}")
+    return found
+
+
+def fit(docs: DataFrame, labels: DataFrame, rounds: int = 3, train_rows: int = TRAIN_ROWS, max_terms: int = MAX_TERMS, least_ratio: float = LEAST_RATIO, exchanged: int = EXCHANGED, sure: float = 0.95) -> CoTrained:
+    """Fits both views. Each round hands over at most ``exchanged`` documents for each view and class, and
+    only those of which the giving view is at least ``sure``. Without labels of both classes all documents pass."""
+    docs = with_metadata(docs)
+    scratch = Scratch(docs.sparkSession)
+    rows = training_rows(docs, labels, train_rows)
+    training = rows.where(~held_out(F.col("doc_id")))
+    term_hashes = chosen_terms(training, max_terms, least_ratio)
+    shape = T.StructType([T.StructField("bad", T.IntegerType()), T.StructField("n_chars", T.LongType()), T.StructField("figures", T.ArrayType(T.DoubleType(), False))])
+
+    def figures_of(batch: pa.RecordBatch) -> Iterator[list[pa.Array]]:
+        data, offsets, _ = K.text_column(batch.column(2))
+        for row, end, raw, cuts in K.pieces(data, offsets):
             figures = layout(raw, cuts)
-            yield [*(batch.column(i).slice(row, n) for i in range(4)), K.lists(cells, np.bincount(docs_, minlength=n), pa.int64()), K.lists(figures.ravel(), np.full(n, figures.shape[1]), pa.float64())]
+            yield [*(batch.column(i).slice(row, end - row) for i in (0, 1)), K.lists(figures.ravel(), np.full(end - row, figures.shape[1]), pa.float64())]
 
-    held = exploded_by_arrow(rows.select("doc_id", "bad", "lang", "source", "text"), shape, kernel).orderBy("doc_id", "lang", "source").collect()
-    bad = np.array([-1 if r["bad"] is None else r["bad"] for r in held])
-    known = bad >= 0
-    model = blank
-    if not (bad == 1).any() or not (bad == 0).any():
+    seen = exploded_by_arrow(training.select("bad", "n_chars", "text"), shape, figures_of).collect()  # train_rows at most
+    bad = np.array([r["bad"] == 1 for r in seen], bool)
+    if not bad.any() or bad.all():
+        model = CoTrained.blank(term_hashes, np.zeros((len(LAYOUT), BINS - 1)), np.zeros(BINS - 1))
         model.content.weights, model.metadata.weights = np.zeros(model.content.width), np.zeros(model.metadata.width)
         model.threshold = 2.0
         return model
-    figures = np.array([r["figures"] for r in held])
-    model.bounds = np.quantile(figures[known], np.arange(1, BINS) / BINS, axis=0).T
-    bad_figures = figures[bad == 1]
-    half = BINS // 2  # half of the bounds follow the bad rows, which would else share the outer bins
-    model.bounds = np.sort(np.concatenate([np.quantile(figures[known], np.arange(1, BINS - half) / (BINS - half), axis=0), np.quantile(bad_figures, np.arange(1, half + 1) / (half + 1), axis=0)]).T, axis=1)
-    n = len(held)
-    lengths = np.array([len(r["cells"]) for r in held])
-    content = np.repeat(np.arange(n), lengths), np.fromiter((c for r in held for c in r["cells"]), np.int64, lengths.sum())
-    metadata = model.metadata_cells(figures, [r["lang"] for r in held], [r["source"] for r in held])
-    views = ((model.content, content), (model.metadata, metadata))
-    hold = known & (np.array([xxhash.xxh64_intdigest(str(r["doc_id"])) % 4 for r in held]) == 0)
-    y = [np.where(known, bad, 0).astype(float) for _ in views]
-    used = [(known & ~hold).astype(float) for _ in views]
+    figures = np.array([r["figures"] for r in seen])
+    sizes = np.array([float(r["n_chars"] or 0) for r in seen])
+    model = CoTrained.blank(term_hashes, np.stack([bins(figures[:, j], bad) for j in range(figures.shape[1])]), bins(sizes, bad))
+    cells = scratch.keep(cells_of(docs.where("doc_id IS NOT NULL"), model), "cells")
+    marks = rows.select("doc_id", "bad", held_out(F.col("doc_id")).alias("held"))
+    known = cells_of(rows, model).join(F.broadcast(marks), "doc_id").orderBy("doc_id").collect()  # train_rows at most
+    pool = cells.join(labelled(labels).select("doc_id"), "doc_id", "left_anti")
+    target = np.array([float(r["bad"]) for r in known])
+    held = np.array([r["held"] for r in known])
+    data = Rows([[np.array(r[v], np.int64) for r in known] for v in ("content", "metadata")], [target.copy(), target.copy()], [(~held).astype(float) for _ in (0, 1)])
+    taken: set[tuple[int, int]] = set()
     for turn in range(rounds + 1):
-        scores = []
-        for (view, (r, c)), target, weight in zip(views, y, used):
-            view.fit(r, c, target, weight)
-            scores.append(view.score(r, c, n))
+        for view, linear in enumerate((model.content, model.metadata)):
+            linear.fit(*data.active(view), data.target[view], data.weight[view])
         if turn == rounds:
             break
-        for giver, taker in ((0, 1), (1, 0)):
-            p = sigmoid(scores[giver])
-            for label in (1, 0):
-                certain = p if label else 1 - p
-                free = np.flatnonzero(~known & (used[taker] == 0) & (certain >= sure))
-                free = free[np.argsort(-certain[free], kind="stable")][: int(exchanged * (~known).sum())]
-                y[taker][free], used[taker][free] = label, 0.5
-    at = hold if bad[hold].min(initial=1) == 0 and bad[hold].max(initial=0) == 1 else known
-    model.scales = tuple(calibration(s[at], bad[at].astype(float)) for s in scores)
+        for r in surest(pool, model, sure, exchanged, scratch, str(turn)):
+            taker = 1 - r["giver"]
+            if (r["doc_id"], taker) not in taken:
+                taken.add((r["doc_id"], taker))
+                data.add(np.array(r["content"], np.int64), np.array(r["metadata"], np.int64), taker, r["label"])
+    scratch.drop("cells")
+    at = np.flatnonzero(held) if 0 < target[held].sum() < held.sum() else np.arange(len(target))
+    scores = [linear.score(*data.active(v), len(data.target[v]))[at] for v, linear in enumerate((model.content, model.metadata))]
+    model.scales = tuple(calibration(z, target[at]) for z in scores)
+    model.prior = float((target[at].sum() + 1) / (len(at) + 2))
     return model
 
 
@@ -268,23 +376,23 @@ SCORES = T.StructType([*[T.StructField(c, T.DoubleType()) for c in ("content_bad
 
 
 def scored(docs: DataFrame, model: CoTrained) -> DataFrame:
-    """``docs`` (with ``text, lang, source``) plus ``content_bad, metadata_bad, bad_score, kept``.
+    """``docs`` plus ``content_bad, metadata_bad, bad_score, kept``.
 
-    A null text is scored as empty, null metadata have a cell of their own; repeated rows score
+    A null text is scored as empty; null or missing metadata have a cell of their own; repeated rows score
     alike, and same-named input columns are replaced.
     """
     shipped = docs.sparkSession.sparkContext.broadcast(model)  # at most MAX_TERMS terms
 
     def kernel(batch: pa.RecordBatch) -> list[pa.Array]:
         own = shipped.value
-        at = batch.schema.get_field_index
-        data, offsets, _ = K.text_column(batch.column(at("text")))
-        langs, sources = (batch.column(at(c)).to_pylist() for c in ("lang", "source"))
+        data, offsets, _ = K.text_column(batch.column(batch.schema.get_field_index("text")))
+        at = [batch.schema.get_field_index(c) for c in METADATA]
+        meta = [batch.column(i).to_pylist() if i >= 0 else [None] * batch.num_rows for i in at]
         out = [[], [], []]
         for row, end, raw, cuts in K.pieces(data, offsets):
             n = end - row
             by_content = own.content.score(*own.content_cells(raw, cuts), n)
-            by_metadata = own.metadata.score(*own.metadata_cells(layout(raw, cuts), langs[row:end], sources[row:end]), n)
+            by_metadata = own.metadata.score(*own.metadata_cells(*(m[row:end] for m in meta)), n)
             for held, p in zip(out, own.combined((by_content, by_metadata))):
                 held.append(p)
         a, b, c = (np.concatenate(x) if x else np.zeros(0) for x in out)
@@ -294,5 +402,5 @@ def scored(docs: DataFrame, model: CoTrained) -> DataFrame:
 
 
 def op3_cotrained_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source")
-    return scored(docs, fit(docs, table(spark, sf_dir, "labels"))).drop("text", "lang", "source")
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", *METADATA)
+    return scored(docs, fit(docs, table(spark, sf_dir, "labels"))).drop("text", *METADATA)
