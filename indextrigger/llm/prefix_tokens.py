@@ -3,16 +3,17 @@
 A byte-pair encoding of a piece is the only chain of tokens in which every two
 neighbours would also stay apart when encoded alone. So the last token of the encoding of
 each prefix follows from those of shorter prefixes: among the tokens that end there, it
-is the one that its predecessor tolerates. Of the counts at all prefixes of a piece only
-the last is kept, so truncations and budgets encode the last pieces anew. Texts are first split into the pieces that merges never cross; the counts of
-a piece are kept in a bounded memo, as most pieces recur.
+is the one that its predecessor tolerates. Texts are first split into the pieces that merges
+never cross; the counts of a piece are kept in a bounded memo, as most pieces recur. A
+:class:`PrefixTable` strings the counts at all prefixes of the pieces together to those at every
+prefix of the text, from which truncations and budgets are read off.
 """
 
 from __future__ import annotations
 
 import json
 import re
-from bisect import bisect_right
+from array import array
 from collections.abc import Iterator
 from itertools import accumulate
 
@@ -72,6 +73,7 @@ class PrefixCounter:
         symbols = byte_of_symbol()
         as_bytes = lambda t: bytes(symbols[c] for c in t)
         self.special = [t["content"] for t in held["added_tokens"]]
+        self.specials = frozenset(self.special)
         self.ids = {as_bytes(t): i for t, i in held["model"]["vocab"].items() if t not in set(self.special)}
         pairs = (m if isinstance(m, list) else m.split(" ") for m in held["model"]["merges"])
         self.rank = {(as_bytes(a), as_bytes(b)): i for i, (a, b) in enumerate(pairs)}
@@ -81,6 +83,7 @@ class PrefixCounter:
         self.by_id = {i: t for t, i in self.good.items()}
         self.apart: dict[int, bool] = {}
         self.memo = PieceMemo(self)
+        self.prefix_memo: dict[str, list[int]] = {}
         self.split_any = regex.compile(SPLIT).findall
         self.split_latin = re.compile(SPLIT.replace(r"[^\s\p{L}\p{N}]", r"(?:[^\s\w]|_)").replace(r"\p{L}", r"[^\W\d_]").replace(r"\p{N}", r"\d")).findall
         self.special_split = regex.compile("|".join(map(regex.escape, sorted(self.special, key=len, reverse=True)))) if self.special else None
@@ -131,6 +134,18 @@ class PrefixCounter:
                 break
         return counts
 
+    def char_prefixes(self, piece: str) -> list[int]:
+        """Token counts of the prefixes of 1, 2, ... characters of a piece."""
+        found = self.prefix_memo.get(piece)
+        if found is None:
+            counts = self.prefixes(piece.encode())
+            found = counts[1:] if piece.isascii() else [counts[b] for b in accumulate(len(c.encode()) for c in piece)]
+            if len(piece) <= 64:
+                if len(self.prefix_memo) >= MEMO_PIECES // 10:
+                    self.prefix_memo.clear()
+                self.prefix_memo[piece] = found
+        return found
+
     def runs(self, text: str) -> Iterator[tuple[bool, str]]:
         """The text cut at special strings: whether a run is special, and the run."""
         at = 0
@@ -157,36 +172,58 @@ class PrefixCounter:
         return sum(map(self.memo.__getitem__, self.split(text)))
 
     def table(self, text: str) -> "PrefixTable":
-        pieces, counts = zip(*self.pieces(text)) if text else ((), ())
-        return PrefixTable(self, text, [0, *accumulate(map(len, pieces))], [0, *accumulate(counts)])
+        return PrefixTable(self, text)
+
+
+#: Pieces that are another split when they are cut short: an apostrophe and the letters after it.
+BLANK = regex.compile(r"\s+").fullmatch
+CONTRACTIONS = frozenset(("'s", "'t", "'re", "'ve", "'m", "'ll", "'d"))
 
 
 class PrefixTable:
-    """Counts at the piece borders of one text; a length inside a piece encodes the last pieces anew."""
+    """Token counts of all prefixes of one text, each as if the prefix were encoded alone.
+
+    A prefix that ends inside a piece takes the count at that place of the piece. One that ends in
+    white space has its last run of it as one piece, and one that ends inside a contraction
+    has the apostrophe and the letters apart; both are prefixes of pieces as well. Only inside a special
+    string, where the characters before may join it, is the last line of pieces split anew.
+    """
 
-    def __init__(self, counter: PrefixCounter, text: str, ends: list[int], counts: list[int]):
-        self.counter, self.text, self.ends, self.counts = counter, text, ends, counts
+    def __init__(self, counter: PrefixCounter, text: str):
+        self.text = text
+        self.at = at = array("l", [0])
+        ends, totals = [0], [0]  # borders of pieces, and the tokens of the pieces before them
+        run = None  # where the white space before the border starts, and the tokens before it
+        for piece, whole in counter.pieces(text):
+            border, total = ends[-1], totals[-1]
+            special = piece in counter.specials
+            lead = 0 if special else len(piece) if BLANK(piece) else int(piece[0] == " ")
+            if lead:
+                run = run or (border, total)
+                at.extend(run[1] + n for n in counter.char_prefixes(text[run[0] : border + lead])[border - run[0] :])
+            if special:
+                k = max(0, len(ends) - 4)
+                while k and (text[ends[k] - 1].isspace() or text[ends[k]].isspace()):
+                    k -= 1
+                at.extend(totals[k] + counter.count(text[ends[k] : border + n]) for n in range(1, len(piece)))
+                at.append(total + whole)
+            elif piece in CONTRACTIONS:
+                mark = counter.char_prefixes("'")[0]
+                at.extend([total + mark, *(total + mark + n for n in counter.char_prefixes(piece[1:])[:-1]), total + whole])
+            elif lead < len(piece):
+                at.extend(total + n for n in counter.char_prefixes(piece)[lead:])
+            if lead < len(piece):
+                run = None
+            ends.append(border + len(piece))
+            totals.append(total + whole)
 
     def tokens(self, n_chars: int) -> int:
-        """Tokens of the first ``n_chars`` characters encoded alone.
-
-        Only the last pieces can be split otherwise when the text ends early (white
-        space, an apostrophe, a special string), so they are looked up as they then are.
-        """
-        n_chars = max(0, min(n_chars, len(self.text)))
-        at = bisect_right(self.ends, n_chars) - 1
-        back = max(0, at - 3)
-        while back and (self.text[self.ends[back] - 1].isspace() or self.text[self.ends[back] : self.ends[back] + 1].isspace()):
-            back -= 1
-        return self.counts[back] + self.counter.count(self.text[self.ends[back] : n_chars])
+        """Tokens of the first ``n_chars`` characters encoded alone."""
+        return self.at[max(0, min(n_chars, len(self.text)))]
 
     def longest_within(self, budget: int) -> int:
         """The greatest number of characters whose encoding has at most ``budget`` tokens."""
-        at = min(len(self.ends) - 1, bisect_right(self.counts, budget) + 2)
-        n = self.ends[at]
-        while n and self.tokens(n) > budget:
-            n -= 1
-        return n
+        return int(np.flatnonzero(np.asarray(self.at) <= budget)[-1]) if budget >= 0 else 0
 
 
 def counter(path: str) -> PrefixCounter:
@@ -196,8 +233,12 @@ def counter(path: str) -> PrefixCounter:
     return _counters[path]
 
 
-def token_counts(docs: DataFrame, path: str | None = None, limit: int = 1024, budget: int | None = None, text_col: str = "text") -> DataFrame:
-    """``docs`` plus ``n_bytes, n_tokens, over_limit`` and, with a budget, ``budget_chars``.
+def token_counts(docs: DataFrame, path: str | None = None, limit: int = 1024, budget: int | None = None, prefixes: bool = False, text_col: str = "text") -> DataFrame:
+    """``docs`` plus ``n_bytes, n_tokens, over_limit``; with a budget, ``budget_chars``; with ``prefixes``, ``tokens_at``.
+
+    ``budget_chars`` is the greatest number of characters that encode to at most so many tokens, and
+    ``tokens_at`` an array with the count of every prefix of 1, 2, ... characters, which later steps
+    can ask for any truncation or budget.
 
     Counts equal those of the vocabulary's own library for the whole text without added
     tokens; a special string inside a text is one token, as is that library's default. A
@@ -208,22 +249,27 @@ def token_counts(docs: DataFrame, path: str | None = None, limit: int = 1024, bu
     path = path or vocabulary_path()
     added = [T.StructField("n_bytes", T.LongType()), T.StructField("n_tokens", T.LongType()), T.StructField("over_limit", T.BooleanType())]
     added += [T.StructField("budget_chars", T.LongType())] if budget is not None else []
+    added += [T.StructField("tokens_at", T.ArrayType(T.IntegerType(), False))] if prefixes else []
 
     def kernel(batch: pa.RecordBatch) -> list[pa.Array]:
         own = counter(path)
-        n_bytes, n_tokens, fit = [], [], []
+        n_bytes, n_tokens, fit, tables = [], [], [], []
         for value in batch.column(batch.schema.get_field_index(text_col)):
             text = value.as_py() or ""
             n_bytes.append(len(text.encode()))
-            if budget is None:
+            if budget is None and not prefixes:
                 n_tokens.append(own.count(text))
             else:
                 held = own.table(text)
-                n_tokens.append(held.counts[-1])
-                fit.append(held.longest_within(budget))
+                n_tokens.append(held.at[-1])
+                if budget is not None:
+                    fit.append(held.longest_within(budget))
+                if prefixes:
+                    tables.append(np.asarray(held.at[1:], np.int32))
         tokens = np.array(n_tokens, np.int64)
         out = [pa.array(n_bytes, pa.int64()), pa.array(tokens), pa.array(tokens > limit)]
-        return out + ([pa.array(fit, pa.int64())] if budget is not None else [])
+        out += [pa.array(fit, pa.int64())] if budget is not None else []
+        return out + ([pa.array(tables, pa.list_(pa.int32()))] if prefixes else [])
 
     return with_arrow_columns(docs, T.StructType(added), kernel)
 
