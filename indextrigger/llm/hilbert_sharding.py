@@ -18,13 +18,13 @@ from pyspark.sql import functions as F
 from .storage import fresh, table, written
 
 #: Bits of each quantised dimension: a curve of 2 ** (3 * BITS) cells.
-BITS = 5
+BITS = 8
 
 
 def length_cell(n: Column, bits: int = BITS) -> Column:
-    """Half-octave classes of a length, from 0 up."""
+    """Classes of a length by its logarithm, from 0 up; with five bits half an octave each, with more bits finer."""
     top = (1 << bits) - 1
-    return F.least(F.floor(2 * F.log2(F.greatest(F.coalesce(n, F.lit(0)).cast("double"), F.lit(0.0)) + 1)), F.lit(top)).cast("int")
+    return F.least(F.floor(2.0 ** (bits - 4) * F.log2(F.greatest(F.coalesce(n, F.lit(0)).cast("double"), F.lit(0.0)) + 1)), F.lit(top)).cast("int")
 
 
 def name_cell(name: Column, bits: int = BITS) -> Column:

@@ -4,7 +4,8 @@ Counts of every whole text are built-in expressions. Rules come from labelled ro
 sequential covering: a rule grows by the threshold test with the best information
 gain on the rows that no earlier rule covers, stops when it covers no good row, loses
 its last tests again while held-out rows say so, and is kept if it is precise enough
-there. Each step is one aggregation of labelled counts by feature and bin. The list
+there. The first test of a refused rule opens no further one, and the search goes on
+with the next best. Each step is one aggregation of labelled counts by feature and bin. The list
 becomes one ordered ``CASE`` expression over the counts.
 """
 
@@ -86,7 +87,7 @@ def base_failed(min_words: int = 50, max_repeat_percent: int = 50) -> Column:
 def features() -> dict[str, Column]:
     """Numbers that rules test: the counts and shares of them (0 where there are no words)."""
     share = lambda c: F.coalesce(F.col(c) / F.nullif(F.col("n_words").cast("double"), F.lit(0.0)), F.lit(0.0))
-    rates = {"symbols_per_word": share("n_symbols"), "chars_per_word": share("word_chars"), "upper_per_word": share("n_upper"), "repeat_share": share("n_repeat_words")}
+    rates = {"symbols_per_word": share("n_symbols"), "chars_per_word": share("word_chars"), "upper_per_word": share("n_upper"), "repeat_share": share("n_repeat_words"), "dup_lines_per_word": share("n_dup_lines")}
     return {**{c: F.col(c).cast("double") for c in COUNTS}, **rates}
 
 
@@ -134,6 +135,7 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, max_rows: int = 20_000)
     marks = labels.where(F.col("doc_id").isNotNull() & F.col("quality").isNotNull()).groupBy("doc_id").agg(F.min("quality").alias("quality"))
     marks = marks.orderBy(F.xxhash64(F.lit("rules"), "doc_id"), "doc_id").limit(max_rows)
     texts = docs.select("doc_id", "text").join(F.broadcast(marks), "doc_id")  # max_rows ids at most
+    texts = texts.groupBy("doc_id", "quality").agg(F.min(F.coalesce("text", F.lit(""))).alias("text"))  # one row an id
     return texts.select("doc_id", "text", (F.col("quality") == 0).cast("int").alias("bad"))
 
 
@@ -155,6 +157,24 @@ def learn_rules(sample: DataFrame, cells: int = 32, max_rules: int = 8, max_test
         got = rows.where(left & (F.col("held") == held) & both(tests, True)).agg(F.coalesce(F.sum("bad"), F.lit(0)).alias("p"), F.count(F.lit(1)).alias("n")).first()
         return int(got["p"]), int(got["n"]) - int(got["p"])
 
+    refused: set[tuple[str, bool]] = set()
+
+    def best_test(left: Column, tests: tuple[Test, ...], p: int, n: int) -> tuple | None:
+        """(gain, test, bad rows, good rows) of the test that tells most about the rows that a rule covers so far."""
+        counts = rows.where(left & ~F.col("held") & both(tests, True)).select("bad", long_form).groupBy("x.feature", "x.cell").agg(F.sum("bad").alias("p"), F.count(F.lit(1)).alias("all"))
+        table_ = {(r["feature"], r["cell"]): (int(r["p"]), int(r["all"]) - int(r["p"])) for r in counts.collect()}  # features times cells
+        best = None
+        for f in names:
+            for k in range(1, len(bounds[f]) + 1):
+                above = [v for (g, c), v in table_.items() if g == f and c >= k]
+                hi = (sum(a for a, _ in above), sum(b for _, b in above))
+                for at_least, (tp, tn) in ((True, hi), (False, (p - hi[0], n - hi[1]))):
+                    if tp >= min_gain_rows and (tp, tn) != (p, n) and (tests or (f, at_least) not in refused):
+                        gain = tp * (math.log2(tp / (tp + tn)) - math.log2(p / (p + n)))
+                        if best is None or gain > best[0] + 1e-12:
+                            best = (gain, Test(f, at_least, bounds[f][k - 1], k), tp, tn)
+        return best if best and best[0] > 0 else None
+
     while len(rules) < max_rules:
         left = F.lit(True)
         for rule in rules:
@@ -164,19 +184,8 @@ def learn_rules(sample: DataFrame, cells: int = 32, max_rules: int = 8, max_test
         if p < min_gain_rows:
             break
         while n and len(tests) < max_tests:
-            counts = rows.where(left & ~F.col("held") & both(tests, True)).select("bad", long_form).groupBy("x.feature", "x.cell").agg(F.sum("bad").alias("p"), F.count(F.lit(1)).alias("all"))
-            table_ = {(r["feature"], r["cell"]): (int(r["p"]), int(r["all"]) - int(r["p"])) for r in counts.collect()}  # features times cells
-            best = None
-            for f in names:
-                for k in range(1, len(bounds[f]) + 1):
-                    above = [v for (g, c), v in table_.items() if g == f and c >= k]
-                    hi = (sum(a for a, _ in above), sum(b for _, b in above))
-                    for at_least, (tp, tn) in ((True, hi), (False, (p - hi[0], n - hi[1]))):
-                        if tp >= min_gain_rows and (tp, tn) != (p, n):
-                            gain = tp * (math.log2(tp / (tp + tn)) - math.log2(p / (p + n)))
-                            if best is None or gain > best[0] + 1e-12:
-                                best = (gain, Test(f, at_least, bounds[f][k - 1], k), tp, tn)
-            if best is None or best[0] <= 0:
+            best = best_test(left, tests, p, n)
+            if best is None:
                 break
             tests, p, n = (*tests, best[1]), best[2], best[3]
         if not tests:
@@ -189,8 +198,9 @@ def learn_rules(sample: DataFrame, cells: int = 32, max_rules: int = 8, max_test
         tests = tests[:size]
         hp, hn = covered(tests, left, True)
         gp, gn = covered(tests, left, False)
-        if (hp + gp) < min_precision * (hp + hn + gp + gn) or (hp + hn and hp < min_precision * (hp + hn)):
-            break
+        if not hp or hp < min_precision * (hp + hn) or hp + gp < min_precision * (hp + hn + gp + gn):
+            refused.add((tests[0].feature, tests[0].at_least))  # twice the features at most
+            continue
         rules.append(tests)
     return RuleList(tuple(rules))
 
