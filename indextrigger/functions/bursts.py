@@ -54,6 +54,15 @@ def column_tail(n: Column, total: Column, pe: Column, tail: str) -> Column:
     return {"strict": done["below"], "inclusive": done["below"] + done["term"], "pmf": done["term"]}[tail]
 
 
+def poisson_tail(n: Column, total: Column, pe: Column, tail: str) -> Column:
+    """The Poisson approximation for rare words in large windows, as a running sum of terms."""
+    mean = total * pe
+    start = F.struct(F.exp(-mean).alias("term"), F.lit(0.0).alias("below"))
+    step = lambda s, k: F.struct((s["term"] * mean / (k + 1)).alias("term"), (s["below"] + s["term"]).alias("below"))
+    done = F.aggregate(F.when(n > 0, F.sequence(F.lit(0).cast("long"), n - 1)).otherwise(F.array().cast("array<bigint>")), start, step)
+    return {"strict": done["below"], "inclusive": done["below"] + done["term"], "pmf": done["term"]}[tail]
+
+
 def _log_beta(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     gamma = np.frompyfunc(math.lgamma, 1, 1)
     return (gamma(a) + gamma(b) - gamma(a + b)).astype(float)
@@ -129,8 +138,9 @@ def burst_probability(counts: DataFrame, totals: DataFrame, rates: DataFrame, ta
     point = F.when(pe <= 0, F.lit(0)).otherwise(total)
     edge = {"strict": (n > point), "inclusive": (n >= point), "pmf": (n == point)}[tail].cast("double")
     plain = (pe > 0) & (pe < 1) & (total > 0)
-    if approx == "normal":
-        out = cells.withColumn("p", F.when(plain, normal_tail(n, total, pe, tail)).otherwise(edge))
+    if approx:
+        near = {"normal": normal_tail, "poisson": poisson_tail}[approx]
+        out = cells.withColumn("p", F.when(plain, near(n, total, pe, tail)).otherwise(edge))
     else:
         small = (n <= COLUMN_MAX_COUNT) & (total * -F.log1p(-F.least(pe, F.lit(1 - 1e-12))) <= COLUMN_MAX_MEAN)
         out = cells.where(~plain | small).withColumn("p", F.when(plain, column_tail(n, total, pe, tail)).otherwise(edge))

@@ -67,10 +67,11 @@ def kept_features(tokens: DataFrame, lo: float = 0.05, hi: float = 0.8, scope: s
 
     ``corpus``: the share over all documents. ``day``: the cell of each window on its own.
     ``any_day``: some window lies inside the bounds. ``mean_day``: the mean over windows that
-    have documents, absent ones counting 0.
+    have documents, absent ones counting 0. Shares are compared at nine places, so that a share
+    on a bound does not hang on the order in which windows are added.
     """
     shares = document_shares(tokens, scope)
-    inside = (F.col("share") >= lo) & (F.col("share") <= hi)
+    inside = F.round("share", 9).between(lo, hi)
     if scope == "corpus":
         return shares.where(inside).select("feature")
     if scope == "day":

@@ -53,6 +53,12 @@ def fit_logistic(vi: DataFrame, how: str = "moments", rounds: int = 50) -> tuple
     if how == "moments" or s == 0:
         return mu, s
     x = np.sort(np.array([r["vi"] for r in vi.where("vi IS NOT NULL").select("vi").collect()]))  # one row per window
+    return logistic_mle(x, rounds)
+
+
+def logistic_mle(x: np.ndarray, rounds: int = 50) -> tuple[float, float]:
+    """Location and scale of greatest likelihood, by Newton steps from the moments."""
+    mu, s = float(x.mean()), float(x.std()) * math.sqrt(3) / math.pi
 
     def slope(v: np.ndarray) -> np.ndarray:
         z = (x - v[0]) / math.exp(v[1])
@@ -90,5 +96,7 @@ def volatility_level(vi: DataFrame, how: str = "moments", levels: int | None = 1
 
 
 def index_levels(index: DataFrame, horizon: int = 4, mode: str = "trailing", fit: str = "moments", levels: int | None = 10) -> DataFrame:
-    """``win, value`` -> ``win, value, ret, vi, pvi``."""
+    """``win, value`` -> ``win, value, ret, vi, pvi``; mode ``within`` takes ``win, step, value`` and gives ``win, vi, pvi``."""
+    if mode == "within":
+        return volatility_level(volatility_within(index), fit, levels)
     return volatility_level(volatility(log_returns(index), horizon, mode), fit, levels)

@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 
 from ..functions import bursts as B
 from ..sources import views as V
-from ..sources.staging import round_trip
+from ..sources.staging import read_bucketed, read_windows, round_trip
+from ..sources.views import assign_irregular
 
 
 def as_of(left: DataFrame, right: DataFrame, on: str, value: str, bucket: int) -> DataFrame:
@@ -26,16 +27,6 @@ def as_of(left: DataFrame, right: DataFrame, on: str, value: str, bucket: int) -
     return got.withColumn(value, F.coalesce("seen_", "carried")).select(*left.columns, value)
 
 
-def assign_irregular(rows: DataFrame, bounds: DataFrame, ts: str = "ts") -> DataFrame:
-    """``rows`` plus ``win`` from ``bounds`` (win, start, end), half open and disjoint.
-
-    Bounds are as many as windows, so they travel as one array to all rows; times outside all windows give null.
-    """
-    edges = bounds.agg(F.sort_array(F.collect_list(F.struct("start", "end", "win"))).alias("edges"))
-    found = F.expr(f"filter(edges, e -> unix_seconds(e.start) <= unix_seconds(CAST({ts} AS TIMESTAMP)) AND unix_seconds(CAST({ts} AS TIMESTAMP)) < unix_seconds(e.end))")
-    return rows.crossJoin(F.broadcast(edges)).withColumn("win", F.get(found, F.lit(0))["win"]).drop("edges")
-
-
 def ten_day_bounds(spark: SparkSession, n: int = 240) -> DataFrame:
     """Windows of about ten days from 1995-01-01, one day longer or shorter by turns."""
     return spark.range(n).select(F.col("id").cast("int").alias("win"), F.timestamp_seconds(788918400 + 86400 * (10 * F.col("id") + F.col("id") % 2)).alias("start"), F.timestamp_seconds(788918400 + 86400 * (10 * (F.col("id") + 1) + (F.col("id") + 1) % 2)).alias("end"))
@@ -109,6 +100,8 @@ QUERIES = {
     "rel_dedup_keep_latest": lambda s, d: events(s, d).groupBy("user_id").agg(F.max_by("event_id", F.struct("ts", "event_id")).alias("event_id")),
     "rel_islands": lambda s, d: B.burst_runs(events(s, d).where("value > 30").select("user_id", V.window_of(F.col("ts"), V.EVENT_ORIGIN, 86400).alias("win")).distinct(), "user_id"),
     "rel_approx_distinct": lambda s, d: lineitem(s, d).groupBy("l_returnflag").agg(F.approx_count_distinct("l_partkey").alias("parts"), F.percentile_approx("l_quantity", 0.5).alias("median")),
+    "io_partitioned_by_window": lambda s, d: read_windows(events(s, d).select("event_id", V.window_of(F.col("ts"), V.EVENT_ORIGIN, 86400).alias("win"))).groupBy("win").agg(F.count(F.lit(1)).alias("n")),
+    "io_bucketed_table": lambda s, d: read_bucketed(labels(s, d), "doc_id"),
     **{f"io_round_trip_{kind}": (lambda s, d, k=kind: round_trip(labels(s, d), k)) for kind in ("csv", "json", "orc", "parquet")},
 }
 SQL = {
@@ -137,5 +130,8 @@ SQL = {
     "rel_vector_cosine": "WITH x AS (SELECT vec_id, label, unnest(embedding)::DOUBLE AS x, generate_subscripts(embedding, 1) AS i FROM embeddings), m AS (SELECT label, i, avg(x) AS m FROM x GROUP BY 1, 2) SELECT label, round(avg(c), 5) AS cosine FROM (SELECT vec_id, label, sum(x * m) / sqrt(sum(x * x) * sum(m * m)) AS c FROM x JOIN m USING (label, i) GROUP BY 1, 2) GROUP BY 1",
     "rel_dedup_keep_latest": "SELECT user_id, arg_max(event_id, (ts, event_id)) AS event_id FROM events GROUP BY 1",
     "rel_islands": "SELECT user_id, min(win) AS start_win, max(win) AS end_win, count(*) AS length FROM (SELECT user_id, win, win - row_number() OVER (PARTITION BY user_id ORDER BY win) AS run FROM (SELECT DISTINCT user_id, CAST(floor((epoch(ts) - epoch(TIMESTAMP '2024-01-01')) / 86400) AS INT) AS win FROM events WHERE value > 30)) GROUP BY user_id, run",
+    "rel_arrays": "SELECT doc_id, CAST(len(list_intersect(a, b)) AS INT) AS both, CAST(len(list_distinct(list_concat(a, b))) AS INT) AS any FROM (SELECT doc_id, string_split(source, '') AS a, string_split(lang, '') AS b FROM documents)",
+    "io_partitioned_by_window": "SELECT CAST(floor((epoch(ts) - epoch(TIMESTAMP '2024-01-01')) / 86400) AS INT) AS win, count(*) AS n FROM events GROUP BY 1",
+    "io_bucketed_table": "SELECT * FROM labels",
     **{f"io_round_trip_{kind}": "SELECT * FROM labels" for kind in ("csv", "json", "orc", "parquet")},
 }

@@ -7,10 +7,11 @@ fixed steps from an origin. A last window that the data do not fill is dropped.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import text as X
+from .staging import staged
 
 HOUR, DAY, WEEK = 3600, 86_400, 604_800
 EVENT_ORIGIN, ORDER_ORIGIN = "2024-01-01", "1995-01-01"
@@ -31,13 +32,29 @@ def full_windows(last: Column, origin: str, seconds: int, step: int) -> Column:
     return window_of(last + F.make_interval(secs=F.lit(step)), origin, seconds)
 
 
+def ranked(rows: DataFrame, order: list[str], name: str = "rank") -> DataFrame:
+    """The rows with their rank from 0 in the order, nulls first.
+
+    Ranges of the order are sorted apart; a row's rank is its place in its range plus the sizes of the
+    ranges before, of which there are as many as partitions.
+    """
+    spread = rows.repartitionByRange(*order).sortWithinPartitions(*order)
+    place = F.monotonically_increasing_id()
+    held = staged(spread.withColumn("part_", F.shiftright(place, 33)).withColumn("place_", place.bitwiseAND((1 << 33) - 1)), "ranked")
+    before = F.sum("n_").over(Window.orderBy("part_").rowsBetween(Window.unboundedPreceding, -1))  # one row per partition
+    sizes = held.groupBy("part_").agg(F.count(F.lit(1)).alias("n_")).select("part_", F.coalesce(before, F.lit(0)).alias("before_"))
+    return held.join(F.broadcast(sizes), "part_").withColumn(name, F.col("before_") + F.col("place_")).drop("part_", "place_", "before_")
+
+
 def stamped(spark: SparkSession, sf_dir: str, docs: DataFrame, id_col: str) -> DataFrame:
-    """Gives document r (ids count from 0) the time of event floor(r * events / documents)."""
-    events = read(spark, sf_dir, "events").select(F.col("event_id").alias("at"), "ts")
-    n_events = events.agg(F.count(F.lit(1)).alias("n_events"))
-    n_docs = docs.agg(F.count(F.lit(1)).alias("n_docs"))
-    sized = docs.crossJoin(F.broadcast(n_events)).crossJoin(F.broadcast(n_docs))  # two one-row counts
-    sized = sized.withColumn("at", F.expr(f"{id_col} * n_events div n_docs")).drop("n_events", "n_docs")
+    """Gives the document of rank r (by id, then text) the time of the event of rank floor(r * events / documents).
+
+    Ranks, not ids, are matched, so gaps, nulls and large ids lose no document. Without events nothing has a time.
+    """
+    events = ranked(read(spark, sf_dir, "events").select("event_id", "ts"), ["event_id", "ts"], "at").drop("event_id")
+    counts = events.agg(F.count(F.lit(1)).alias("n_events")).crossJoin(docs.agg(F.count(F.lit(1)).alias("n_docs")))  # two one-row counts
+    sized = ranked(docs, [id_col, "text"], "rank").crossJoin(F.broadcast(counts))
+    sized = sized.withColumn("at", F.expr("rank * n_events div n_docs")).drop("n_events", "n_docs", "rank")
     return sized.join(events, "at").drop("at")
 
 
@@ -63,7 +80,7 @@ def order_stream(spark: SparkSession, sf_dir: str, days: int = 7) -> DataFrame:
     windows = orders.agg(full_windows(F.max("o_orderdate"), ORDER_ORIGIN, days * DAY, DAY).alias("n_win"))
     lines = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey")
     parts = read(spark, sf_dir, "part").select("p_partkey", "p_name", "p_type", "p_brand")
-    words = F.concat(F.split(F.lower("p_name"), " "), F.array(F.concat(F.lower("p_type"), F.lit("_t")), F.lower("p_brand")))
+    words = part_words()
     joined = lines.join(parts, F.col("l_partkey") == F.col("p_partkey")).join(orders, F.col("l_orderkey") == F.col("o_orderkey"))
     tokens = joined.select(F.col("o_orderkey").alias("doc_id"), window_of(F.col("o_orderdate"), ORDER_ORIGIN, days * DAY).alias("win"), F.explode(words).alias("feature"))
     return tokens.crossJoin(F.broadcast(windows)).where("win < n_win").drop("n_win")  # a one-row bound
@@ -73,10 +90,50 @@ def session_stream(spark: SparkSession, sf_dir: str, hours: int = 4) -> DataFram
     events = read(spark, sf_dir, "events").select("ts", "user_id", "event_type", "props")
     win = window_of(F.col("ts"), EVENT_ORIGIN, hours * HOUR)
     words = F.array("event_type", F.concat(F.lit("k"), F.get_json_object("props", "$.k")))
-    tokens = events.withColumn("win", win).select((F.col("user_id") * 1000 + F.col("win")).alias("doc_id"), "win", F.explode(words).alias("feature"))
+    own = F.col("user_id") * (1 << 32) + F.col("win")  # a document is a user's window, whatever the number of windows
+    tokens = events.withColumn("win", win).select(own.alias("doc_id"), "win", F.explode(words).alias("feature"))
     return tokens.where("feature IS NOT NULL")
 
 
+def poll_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """``win, start, end``: an index observed about every ten days, one day longer or shorter by turns, while orders last."""
+    orders = read(spark, sf_dir, "orders").select(F.unix_seconds(F.col("o_orderdate").cast("timestamp")).alias("at"))
+    origin = F.unix_seconds(F.lit(ORDER_ORIGIN).cast("timestamp"))
+    last = orders.agg((F.max("at") + DAY - origin).alias("span"))
+    wins = last.select("span", F.explode(F.sequence(F.lit(0).cast("long"), F.greatest(F.floor(F.col("span") / (9 * DAY)), F.lit(0)))).alias("i"))
+    edge = lambda i: DAY * (10 * i + i % 2)
+    full = wins.where(edge(F.col("i") + 1) <= F.col("span"))
+    return full.select(F.col("i").cast("int").alias("win"), F.timestamp_seconds(origin + edge(F.col("i"))).alias("start"), F.timestamp_seconds(origin + edge(F.col("i") + 1)).alias("end"))
+
+
+def poll_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The order stream cut at the observations of the index."""
+    lines, orders = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey"), read(spark, sf_dir, "orders")
+    dated = assign_irregular(orders.select("o_orderkey", F.col("o_orderdate").alias("ts")), poll_bounds(spark, sf_dir)).where("win IS NOT NULL")
+    parts = read(spark, sf_dir, "part").select("p_partkey", "p_name", "p_type", "p_brand")
+    joined = lines.join(parts, F.col("l_partkey") == F.col("p_partkey")).join(dated, F.col("l_orderkey") == F.col("o_orderkey"))
+    return joined.select(F.col("o_orderkey").alias("doc_id"), "win", F.explode(part_words()).alias("feature"))
+
+
+def poll_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    orders = read(spark, sf_dir, "orders").select(F.col("o_orderdate").alias("ts"), F.col("o_totalprice").alias("value"))
+    return resampled(assign_irregular(orders, poll_bounds(spark, sf_dir)).where("win IS NOT NULL"), "avg")
+
+
+def part_words() -> Column:
+    return F.concat(F.split(F.lower("p_name"), " "), F.array(F.concat(F.lower("p_type"), F.lit("_t")), F.lower("p_brand")))
+
+
+def assign_irregular(rows: DataFrame, bounds: DataFrame, ts: str = "ts") -> DataFrame:
+    """``rows`` plus ``win`` from ``bounds`` (win, start, end), half open and disjoint.
+
+    Bounds are as many as windows, so they travel as one array to all rows; times outside all windows give null.
+    """
+    edges = bounds.agg(F.sort_array(F.collect_list(F.struct("start", "end", "win"))).alias("edges"))
+    found = F.expr(f"filter(edges, e -> unix_seconds(e.start) <= unix_seconds(CAST({ts} AS TIMESTAMP)) AND unix_seconds(CAST({ts} AS TIMESTAMP)) < unix_seconds(e.end))")
+    return rows.crossJoin(F.broadcast(edges)).withColumn("win", F.get(found, F.lit(0))["win"]).drop("edges")
+
+
 def event_index(spark: SparkSession, sf_dir: str, hours: int = 12, how: str = "avg") -> DataFrame:
     events = read(spark, sf_dir, "events").select("ts", "value").withColumn("win", window_of(F.col("ts"), EVENT_ORIGIN, hours * HOUR))
     return resampled(events, how)
