@@ -18,7 +18,7 @@ class BurstParams:
 @dataclass(frozen=True)
 class VolatilityParams:
     horizon: int = 4
-    mode: str = "trailing"  # trailing, centered
+    mode: str = "trailing"  # trailing, centered, within (an index of finer steps inside each window)
     fit: str = "moments"  # moments, mle
     levels: int | None = 10
 
@@ -30,7 +30,8 @@ class TopicParams:
     singleton: str = "self"  # self, drop, zero
     min_link: float = 0.0  # a candidate needs an affinity above this with a member
     min_pair_objective: float = 0.0
-    max_topic_size: int | None = 8
+    max_topic_size: int | None = None
+    factors: str = "all"  # all, no_documents, no_time: what the objective leaves out
     burst_threshold: float = 0.7
 
 
@@ -38,7 +39,7 @@ class TopicParams:
 class GroupParams:
     method: str = "kmeans"  # kmeans, threshold
     k: int | None = None
-    max_k: int = 12
+    max_k: int | None = None
     merge_all_at: float = 0.6
     cosine: float = 0.5
 
@@ -48,7 +49,7 @@ class ChainParams:
     link_threshold: float = 0.1
     require_gain: bool = True
     branching: str = "composite"  # composite, fork
-    beam: int = 64
+    beam: int | None = None  # chains of a step beyond which no further fork is taken
     weight: str = "objective"  # objective, none
     merge_at: float = 0.5
     linkage: str = "average"  # single, average, complete
@@ -61,14 +62,16 @@ class Params:
     topic: TopicParams = field(default_factory=TopicParams)
     group: GroupParams = field(default_factory=GroupParams)
     chain: ChainParams = field(default_factory=ChainParams)
-    #: Rows that a driver-side step may hold; they follow features and windows, not documents.
+    #: Rows that one grouped map may hold; they follow features and windows, not documents. More is refused.
     max_local_rows: int = 2_000_000
 
     def but(self, **changes) -> "Params":
         return replace(self, **changes)
 
 
-#: Strict tail, series zeroed outside bursts, topics of at most eight words.
+#: Strict tail, series zeroed outside bursts.
 FLAGSHIP = Params()
-#: Inclusive tail on words that are present, raw series, no cap on topics.
-FAITHFUL = Params(burst=BurstParams(tail="inclusive", require_presence=True, sparsify=False), topic=TopicParams(max_topic_size=None))
+#: The same with short topics, few groups a window and few forks a step, for quick looks.
+CAPPED = Params(topic=TopicParams(max_topic_size=8), group=GroupParams(max_k=12), chain=ChainParams(beam=64))
+#: Inclusive tail on words that are present and raw series, the forms that the prose describes.
+FAITHFUL = Params(burst=BurstParams(tail="inclusive", require_presence=True, sparsify=False), volatility=VolatilityParams(levels=10))

@@ -5,6 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..sources.staging import staged
+from .graph import connected
+
 
 def incidence(tokens: DataFrame) -> DataFrame:
     return tokens.select("doc_id", "feature").distinct()
@@ -22,12 +25,30 @@ def _with_jaccard(shared: DataFrame, sizes: DataFrame) -> DataFrame:
     return out.select("f", "g", "shared", "df_f", "df_g", (F.col("shared") / (F.col("df_f") + F.col("df_g") - F.col("shared"))).alias("jaccard"))
 
 
-def jaccard_pairs(tokens: DataFrame, method: str = "exact", hashes: int = 128, sample: int = 16) -> DataFrame:
+def _in_blocks(rows: DataFrame, key: str, extra: list[str], block_rows: int) -> DataFrame:
+    """Ordered pairs of the features of each key, dealt by (key, block of f, block of g).
+
+    The number of blocks follows the largest key, so that a key with very many features is
+    paired by many tasks; with one block nothing is copied.
+    """
+    most = rows.groupBy(key).agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0] or 0
+    blocks = max(1, -(-most // block_rows))
+    if blocks == 1:
+        return _ordered_pairs(rows, [key], extra)
+    every = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    own = F.pmod(F.hash("feature"), F.lit(blocks))
+    f = rows.select(key, F.col("feature").alias("f"), *[F.col(c).alias(f"{c}_f") for c in extra], own.alias("bf"), every.alias("bg"))
+    g = rows.select(key, F.col("feature").alias("g"), *[F.col(c).alias(f"{c}_g") for c in extra], own.alias("bg"), every.alias("bf"))
+    return f.join(g, [key, "bf", "bg"]).where("f < g").drop("bf", "bg")
+
+
+def jaccard_pairs(tokens: DataFrame, method: str = "exact", hashes: int = 128, sample: int = 16, within: DataFrame | None = None) -> DataFrame:
     """``doc_id, feature`` -> ``f, g, shared, df_f, df_g, jaccard`` with f < g, pairs that share a document.
 
     ``exact`` pairs the features of each document; ``bitmap`` intersects bitmaps of documents by block
     (also exact, for ids from 0). Approximate, and labelled so by ``method``: ``minhash`` from one
     minimum per seed and feature, ``theta`` from sketches, ``sample`` from one document in ``sample`` by hash.
+    ``theta`` estimates the pairs of ``within`` (``f, g``), such as those that burst together, and needs them.
     """
     inc = incidence(tokens)
     if method == "sample":
@@ -53,20 +74,24 @@ def jaccard_pairs(tokens: DataFrame, method: str = "exact", hashes: int = 128, s
         return out.select("f", "g", (j / (1 + j) * (F.col("df_f") + F.col("df_g"))).alias("shared"), "df_f", "df_g", "jaccard")
     if method == "theta":
         sketches = inc.groupBy("feature").agg(F.expr("theta_sketch_agg(doc_id)").alias("s"), F.count(F.lit(1)).alias("df"))
-        both = sketches.select(F.col("feature").alias("f"), F.col("s").alias("s_f"), F.col("df").alias("df_f")).join(sketches.select(F.col("feature").alias("g"), F.col("s").alias("s_g"), F.col("df").alias("df_g")), F.expr("f < g"))
+        if within is None:
+            raise ValueError("theta sketches estimate given pairs; all pairs of features would be a cross join")
+        both = within.select("f", "g").join(sketches.select(F.col("feature").alias("f"), F.col("s").alias("s_f"), F.col("df").alias("df_f")), "f")
+        both = both.join(sketches.select(F.col("feature").alias("g"), F.col("s").alias("s_g"), F.col("df").alias("df_g")), "g")
         shared = both.withColumn("shared", F.expr("theta_sketch_estimate(theta_intersection(s_f, s_g))")).where("shared > 0")
         return shared.select("f", "g", "shared", "df_f", "df_g", (F.col("shared") / (F.col("df_f") + F.col("df_g") - F.col("shared"))).alias("jaccard"))
     raise ValueError(method)
 
 
-def temporal_pairs(p: DataFrame, sparsify: bool = True) -> DataFrame:
+def temporal_pairs(p: DataFrame, sparsify: bool = True, block_rows: int = 4096) -> DataFrame:
     """``feature, win, p, bursty`` -> ``f, g, rho``, f < g, pairs with a positive cosine.
 
-    Cells that are 0 add nothing, so only cells with p > 0 (burst cells if sparsified) are joined.
+    Cells that are 0 add nothing, so only cells with p > 0 (burst cells if sparsified) are joined;
+    a window of more than ``block_rows`` such cells is paired block by block.
     """
     cells = (p.where("bursty") if sparsify else p).where("p > 0").select("feature", "win", "p")
     norms = cells.groupBy("feature").agg(F.sqrt(F.sum(F.col("p") * F.col("p"))).alias("norm"))
-    dots = _ordered_pairs(cells, ["win"], ["p"]).groupBy("f", "g").agg(F.sum(F.col("p_f") * F.col("p_g")).alias("dot"))
+    dots = _in_blocks(cells, "win", ["p"], block_rows).groupBy("f", "g").agg(F.sum(F.col("p_f") * F.col("p_g")).alias("dot"))
     out = dots.join(norms.select(F.col("feature").alias("f"), F.col("norm").alias("nf")), "f").join(norms.select(F.col("feature").alias("g"), F.col("norm").alias("ng")), "g")
     return out.select("f", "g", (F.col("dot") / (F.col("nf") * F.col("ng"))).alias("rho"))
 
@@ -75,3 +100,24 @@ def affinities(tokens: DataFrame, p: DataFrame, sparsify: bool = True, method: s
     """``f, g, jaccard, rho``; pairs that share documents but never burst together have rho 0."""
     joined = jaccard_pairs(tokens, method).select("f", "g", "jaccard").join(temporal_pairs(p, sparsify), ["f", "g"], "full")
     return joined.fillna(0.0, ["jaccard", "rho"])
+
+
+def component_affinities(tokens: DataFrame, p: DataFrame, sparsify: bool = True, method: str = "exact") -> DataFrame:
+    """The affinities that topics can use: pairs of features that a path of common bursts connects.
+
+    Words of different components never meet in a topic, so the documents' features are paired
+    inside components only, which keeps the largest shuffle to the pairs that matter.
+    """
+    rho = staged(temporal_pairs(p, sparsify), "rho")
+    labels = connected(p.select(F.col("feature").alias("id")).distinct(), rho.select(F.col("f").alias("a"), F.col("g").alias("b")))
+    labels = labels.withColumnRenamed("id", "feature")
+    if method == "exact":
+        inc = incidence(tokens)
+        sizes = inc.groupBy("feature").agg(F.count(F.lit(1)).alias("df"))
+        shared = _ordered_pairs(inc.join(labels, "feature"), ["doc_id", "component"]).groupBy("f", "g").agg(F.count(F.lit(1)).alias("shared"))
+        jaccard = _with_jaccard(shared, sizes)
+    else:
+        jaccard = jaccard_pairs(tokens, method, within=rho)
+        of = lambda x: labels.select(F.col("feature").alias(x), F.col("component").alias(f"component_{x}"))
+        jaccard = jaccard.join(of("f"), "f").join(of("g"), "g").where("component_f = component_g")
+    return jaccard.select("f", "g", "jaccard").join(rho, ["f", "g"], "full").fillna(0.0, ["jaccard", "rho"])

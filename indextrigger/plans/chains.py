@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..params import ChainParams
+from ..sources.staging import bounded
 
 CHAIN_SCHEMA = "chain_id int, seed_win int, win int, group_id int, position int, score double"
 
@@ -40,6 +41,7 @@ class Chain:
     cells: dict[int, tuple[float, int]] = field(default_factory=dict)
     sums: tuple[float, float, float, float, float, int] = (0.0, 0.0, 0.0, 0.0, 0.0, 0)
     score: float = 0.0
+    held: set[tuple[int, int]] = field(default_factory=set)
 
     def with_group(self, win: int, total: float, count: int, level: float) -> tuple[tuple[float, int], tuple, float]:
         sx, sxx, sy, syy, sxy, n = self.sums
@@ -57,9 +59,10 @@ class Chain:
     def take(self, group: tuple[int, int], found: tuple) -> None:
         self.cells[group[0]], self.sums, self.score = found
         self.groups.append(group)
+        self.held.add(group)
 
     def copy(self) -> "Chain":
-        return Chain(self.seed, list(self.groups), dict(self.cells), self.sums, self.score)
+        return Chain(self.seed, list(self.groups), dict(self.cells), self.sums, self.score, set(self.held))
 
 
 def score_of(sums: tuple) -> float:
@@ -106,13 +109,13 @@ def probe(groups: dict[tuple[int, int], list[int]], links: dict[tuple[int, int],
                         if near.get(own, 0.0) <= params.link_threshold:
                             continue
                         for chain in list(front[own]):
-                            if (win + step, g) in chain.groups:
+                            if (win + step, g) in chain.held:
                                 continue
                             found = chain.with_group(win + step, *worth[win + step, g], pvi.get(win + step, 0.0))
                             if params.require_gain and not found[2] > chain.score:
                                 continue
                             if params.branching == "fork":
-                                if sum(map(len, ahead.values())) >= params.beam:
+                                if params.beam and sum(map(len, ahead.values())) >= params.beam:
                                     continue
                                 chain = chain.copy()
                                 chains.append(chain)
@@ -130,7 +133,8 @@ def discover_chains(groups: DataFrame, links: DataFrame, rate: DataFrame, pvi: D
 
     Chains never cross a window without links, so runs of windows between such gaps are
     independent: each run is one group of a grouped map, with the levels and rates of its
-    windows. What a run holds follows windows and topics, never documents.
+    windows. What a run holds follows windows and topics, never documents; a run of more than
+    ``max_local_rows`` rows is refused.
     """
     wins = groups.select("win").distinct()
     linked = links.select("win").distinct().withColumn("on", F.lit(True))
@@ -143,7 +147,7 @@ def discover_chains(groups: DataFrame, links: DataFrame, rate: DataFrame, pvi: D
     worth = cells.join(F.broadcast(pvi.select("win", "pvi")), "win", "left").fillna(0.0, ["pvi"])
     left = worth.select("win", "group_id", "topic_id", F.lit(None).cast("int").alias("next_group_id"), F.col("rate").alias("value"), "pvi")
     right = links.select("win", "group_id", F.lit(None).cast("int").alias("topic_id"), "next_group_id", F.col("similarity").alias("value"), F.lit(0.0).alias("pvi"))
-    rows = left.unionByName(right).join(F.broadcast(runs), "win")
+    rows = bounded(left.unionByName(right).join(F.broadcast(runs), "win"), "run", max_local_rows)
 
     def work(pdf: pd.DataFrame) -> pd.DataFrame:
         own, net = pdf[pdf.topic_id.notna()], pdf[pdf.next_group_id.notna()]

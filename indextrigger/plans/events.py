@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..params import ChainParams
+from ..sources.staging import bounded
 from .graph import connected
 
 
@@ -16,10 +17,16 @@ def pearson(x: Column, y: Column) -> Column:
     return F.try_divide(F.covar_pop(x, y), F.stddev_pop(x) * F.stddev_pop(y))
 
 
-def event_intensity(members: DataFrame, rate: DataFrame, key: str = "event_id") -> DataFrame:
-    """``key, win, topic_id`` -> ``key, win, intensity``: the mean rate of the event's topics in a window."""
+def event_intensity(members: DataFrame, rate: DataFrame, key: str = "event_id", sizes: DataFrame | None = None) -> DataFrame:
+    """``key, win, topic_id`` -> ``key, win, intensity``: the mean rate of the event's topics in a window.
+
+    With ``sizes`` (``topic_id, size``) the sum of the rates is divided by the words of the topics instead.
+    """
     cells = members.select(key, "win", "topic_id").distinct().join(rate.select("topic_id", "win", "rate"), ["topic_id", "win"], "left")
-    return cells.groupBy(key, "win").agg(F.avg(F.coalesce("rate", F.lit(0.0))).alias("intensity"))
+    value = F.coalesce("rate", F.lit(0.0))
+    if sizes is not None:
+        return cells.join(sizes, "topic_id").groupBy(key, "win").agg((F.sum(value) / F.sum("size")).alias("intensity"))
+    return cells.groupBy(key, "win").agg(F.avg(value).alias("intensity"))
 
 
 def event_score(intensity: DataFrame, pvi: DataFrame, key: str = "event_id") -> DataFrame:
@@ -42,22 +49,29 @@ def chain_overlap(chains: DataFrame) -> DataFrame:
 
 
 def agglomerate(n: int, similarity: np.ndarray, merge_at: float, linkage: str) -> np.ndarray:
-    """Labels from merging the most similar clusters until none reaches ``merge_at``; ties to the lowest indices."""
-    clusters = [[i] for i in range(n)]
-    how = {"single": np.max, "complete": np.min, "average": np.mean}[linkage]
-    while len(clusters) > 1:
-        best = max(((how(similarity[np.ix_(a, b)]), -i, -j) for i, a in enumerate(clusters) for j, b in enumerate(clusters) if i < j))
-        if best[0] < merge_at:
+    """Labels from merging the most similar clusters until none reaches ``merge_at``; ties to the lowest indices.
+
+    A merge updates one row of cluster similarities from the two that it joins.
+    """
+    sim = np.triu(similarity.astype(float), 1)
+    sim = sim + sim.T
+    np.fill_diagonal(sim, -np.inf)
+    sizes, label = np.ones(n), np.arange(n)
+    for _ in range(n - 1):
+        i, j = np.unravel_index(int(sim.argmax()), sim.shape)
+        if round(sim[i, j], 12) < merge_at:
             break
-        i, j = -best[1], -best[2]
-        clusters[i] = clusters[i] + clusters.pop(j)
-    labels = np.zeros(n, int)
-    for c in clusters:
-        labels[c] = min(c)
-    return labels
+        i, j = min(i, j), max(i, j)
+        joined = {"single": np.maximum(sim[i], sim[j]), "complete": np.minimum(sim[i], sim[j]), "average": (sizes[i] * sim[i] + sizes[j] * sim[j]) / (sizes[i] + sizes[j])}[linkage]
+        joined[[i, j]] = -np.inf
+        sim[i], sim[:, i] = joined, joined
+        sim[j], sim[:, j] = -np.inf, -np.inf
+        sizes[i] += sizes[j]
+        label[label == label[j]] = label[i]
+    return label
 
 
-def merge_chains(overlap: DataFrame, chains: DataFrame, params: ChainParams = ChainParams()) -> DataFrame:
+def merge_chains(overlap: DataFrame, chains: DataFrame, params: ChainParams = ChainParams(), max_local_rows: int = 2_000_000) -> DataFrame:
     """``chain_id, event_id``: chains clustered by overlap; the least chain names the event.
 
     Single linkage is the components of overlaps that reach the cut; the others work inside
@@ -81,7 +95,7 @@ def merge_chains(overlap: DataFrame, chains: DataFrame, params: ChainParams = Ch
         labels_ = agglomerate(len(own), sim, params.merge_at, params.linkage)
         return pd.DataFrame({"chain_id": own, "event_id": own[labels_]})
 
-    return rows.groupBy("component").applyInPandas(work, "chain_id int, event_id int")
+    return bounded(rows, "component", max_local_rows).groupBy("component").applyInPandas(work, "chain_id int, event_id int")
 
 
 def event_members(chains: DataFrame, merged: DataFrame, groups: DataFrame) -> DataFrame:
@@ -99,7 +113,7 @@ def assemble_events(chains: DataFrame, merged: DataFrame, groups: DataFrame, rat
 
 
 def ranked(events: DataFrame, key: str = "event_id") -> DataFrame:
-    order = Window.orderBy(F.desc("score"), "start_win", key)  # as many rows as events
+    order = Window.orderBy(F.desc(F.round("score", 9) + F.lit(0.0)), "start_win", key)  # as many rows as events
     return events.withColumn("rank", F.row_number().over(order))
 
 

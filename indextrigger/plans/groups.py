@@ -88,7 +88,7 @@ def grouping(gram: np.ndarray, params: GroupParams) -> tuple[np.ndarray, int, fl
     mean = (gram.sum() - np.trace(gram)) / (n * (n - 1))
     if params.k is None and mean >= params.merge_all_at:
         return np.zeros(n, int), 1, 0.0
-    tried = [min(params.k, n)] if params.k else range(2, min(params.max_k, n) + 1)
+    tried = [min(params.k, n)] if params.k else range(2, min(params.max_k or n, n) + 1)
     best = min(((cluster_quality(gram, labels := spherical_kmeans(gram, k)) if k > 1 else 0.0, k, labels if k > 1 else np.zeros(n, int)) for k in tried), key=lambda x: (round(x[0], 12), x[1]))
     return best[2], best[1], best[0]
 

@@ -77,3 +77,39 @@ def pair_f1(topics: DataFrame, planted: dict[int, list[str]]) -> DataFrame:
 def sketch_error(exact: DataFrame, estimate: DataFrame) -> DataFrame:
     gap = exact.select("f", "g", "jaccard").join(estimate.select("f", "g", F.col("jaccard").alias("est")), ["f", "g"], "left").select(F.abs(F.col("jaccard") - F.coalesce("est", F.lit(0.0))).alias("e"))
     return tidy(gap.agg(F.avg("e").alias("mean_error"), F.max("e").alias("max_error")), "mean_error", "max_error")
+
+
+def grouping_quality(gram: DataFrame, groups: DataFrame) -> DataFrame:
+    """``win, ratio``: similarity between the groups of a window over that inside them, for windows of two groups or more.
+
+    Pairs of topics that share no document have cosine 0; a group of one topic has 1 inside.
+    """
+    own = groups.select("win", "group_id", F.explode("topics").alias("topic_id"))
+    sizes = own.groupBy("win", "group_id").agg(F.count(F.lit(1)).alias("size"))
+    totals = sizes.groupBy("win").agg(F.sum("size").alias("n"), F.count(F.lit(1)).alias("k")).where("k > 1")
+    of = lambda x: own.select("win", F.col("topic_id").alias(x), F.col("group_id").alias(f"group_{x}"))
+    both = gram.where("t < u").join(of("t"), ["win", "t"]).join(of("u"), ["win", "u"])
+    inside = both.where("group_t = group_u").groupBy("win", F.col("group_t").alias("group_id")).agg(F.sum("cosine").alias("near"))
+    across = both.where("group_t <> group_u")
+    across = across.select("win", F.col("group_t").alias("group_id"), "cosine").unionByName(across.select("win", F.col("group_u").alias("group_id"), "cosine"))
+    across = across.groupBy("win", "group_id").agg(F.sum("cosine").alias("far"))
+    rows = sizes.join(totals, "win").join(inside, ["win", "group_id"], "left").join(across, ["win", "group_id"], "left").fillna(0.0, ["near", "far"])
+    size = F.col("size")
+    intra = F.when(size > 1, F.col("near") / (size * (size - 1) / 2)).otherwise(1.0)
+    between = F.sum(F.col("far") / (F.col("n") - size))  # size / (n - size) times the mean over the pairs, times the sizes
+    return rows.groupBy("win").agg((between / F.sum(size * intra)).alias("ratio"))
+
+
+def event_overlap(events: DataFrame, planted: DataFrame) -> DataFrame:
+    """For each planted interval ``plan, start, end`` the best share of windows, of both united, that an event has in common with it."""
+    both = planted.join(events.select("event_id", "start_win", "end_win"), (F.col("start") <= F.col("end_win")) & (F.col("start_win") <= F.col("end")))
+    shared = F.least("end", "end_win") - F.greatest("start", "start_win") + 1
+    united = F.greatest("end", "end_win") - F.least("start", "start_win") + 1
+    best = both.groupBy("plan").agg(F.max(shared / united).alias("overlap"))
+    return planted.select("plan").join(best, "plan", "left").fillna(0.0, ["overlap"])
+
+
+def stage_costs(spark, notes: list[tuple[str, float, int]]) -> DataFrame:
+    """``position, stage, seconds, shuffle_bytes`` of the stages of a metered run."""
+    rows = [(i, tag, seconds, moved) for i, (tag, seconds, moved) in enumerate(notes)]
+    return spark.createDataFrame(rows, "position int, stage string, seconds double, shuffle_bytes long")

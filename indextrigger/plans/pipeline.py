@@ -52,8 +52,8 @@ def impact_topics(tokens: DataFrame, index: DataFrame, params: Params = FLAGSHIP
     v = params.volatility
     pvi = staged(index_levels(index, v.horizon, v.mode, v.fit, v.levels), "levels")
     influence = staged(topics.feature_influence(found.p, pvi), "influence")
-    pairs = staged(affinity.affinities(tokens, found.p, params.burst.sparsify), "pairs")
-    return found, pvi, influence, pairs, staged(topics.extract_topics(pairs, influence, params.topic), "topics")
+    pairs = staged(affinity.component_affinities(tokens, found.p, params.burst.sparsify), "pairs")
+    return found, pvi, influence, pairs, staged(topics.extract_topics(pairs, influence, params.topic, params.max_local_rows), "topics")
 
 
 def run(tokens: DataFrame, index: DataFrame, params: Params = FLAGSHIP) -> Result:
@@ -64,7 +64,7 @@ def run(tokens: DataFrame, index: DataFrame, params: Params = FLAGSHIP) -> Resul
     grouped = staged(groups.group_topics(gram, params.group), "groups")
     links = staged(chains.group_links(grouped, tops, params.chain.link_threshold, params.chain.weight), "links")
     paths = staged(chains.discover_chains(grouped, links, rate, pvi, params.chain, params.max_local_rows), "chains")
-    merged = staged(events.merge_chains(events.chain_overlap(paths), paths, params.chain), "merged")
+    merged = staged(events.merge_chains(events.chain_overlap(paths), paths, params.chain, params.max_local_rows), "merged")
     members = events.event_members(paths, merged, grouped)
     return Result(found.p, pvi, influence, pairs, tops, rate, gram, grouped, links, paths, merged, members, events.assemble_events(paths, merged, grouped, rate, pvi))
 

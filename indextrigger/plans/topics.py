@@ -2,20 +2,26 @@
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..params import TopicParams
+from ..sources.staging import bounded
 from .graph import connected
 
 TOPIC_SCHEMA = "features array<string>, doc_coherence double, time_coherence double, influence double, objective double"
 
 
 def feature_influence(p: DataFrame, pvi: DataFrame, normalise: bool = False) -> DataFrame:
-    """``feature, influence``: the volatility levels of the windows in which the feature bursts, added up."""
-    got = p.where("bursty").select("feature", "win").join(F.broadcast(pvi.select("win", "pvi")), "win").groupBy("feature").agg(F.sum("pvi").alias("influence"))
+    """``feature, influence``: the volatility levels of the windows in which the feature bursts, added up.
+
+    Sums are rounded to nine places, so that ties do not depend on the order in which rows are added.
+    """
+    got = p.where("bursty").select("feature", "win").join(F.broadcast(pvi.select("win", "pvi")), "win").groupBy("feature").agg(F.round(F.sum("pvi"), 9).alias("influence"))
     got = p.select("feature").distinct().join(got, "feature", "left").fillna(0.0, ["influence"])
     if not normalise:
         return got
@@ -39,7 +45,35 @@ def best_partners(objectives: DataFrame) -> DataFrame:
     return objectives.withColumn("r", F.row_number().over(order)).where("r = 1").drop("r")
 
 
+@dataclass
+class Neighbours:
+    """The affinities of each word, as rows of neighbours: memory follows the pairs, not the square of the words."""
+
+    starts: np.ndarray
+    others: np.ndarray
+    jaccard: np.ndarray
+    rho: np.ndarray
+
+    @classmethod
+    def of(cls, n: int, a: np.ndarray, b: np.ndarray, jaccard: np.ndarray, rho: np.ndarray) -> "Neighbours":
+        """From each pair of different words once."""
+        rows, others = np.concatenate([a, b]), np.concatenate([b, a])
+        order = np.lexsort((others, rows))
+        starts = np.searchsorted(rows[order], np.arange(n + 1))
+        return cls(starts, others[order], np.concatenate([jaccard, jaccard])[order], np.concatenate([rho, rho])[order])
+
+    def row(self, i: int) -> slice:
+        return slice(self.starts[i], self.starts[i + 1])
+
+
 def greedy_topics(names: list[str], jaccard: np.ndarray, rho: np.ndarray, influence: np.ndarray, params: TopicParams) -> list[dict]:
+    """:func:`greedy_from` for square matrices of the affinities."""
+    a, b = np.triu_indices(len(names), 1)
+    some = (jaccard[a, b] > 0) | (rho[a, b] > 0)
+    return greedy_from(names, Neighbours.of(len(names), a[some], b[some], jaccard[a, b][some], rho[a, b][some]), influence, params)
+
+
+def greedy_from(names: list[str], near: Neighbours, influence: np.ndarray, params: TopicParams) -> list[dict]:
     """The topics of one component, by running sums of the pair values.
 
     The seed is the unused word of most influence (or the better word of the best pair);
@@ -49,61 +83,75 @@ def greedy_topics(names: list[str], jaccard: np.ndarray, rho: np.ndarray, influe
     free = np.ones(n, bool)
     cap = params.max_topic_size or n
     how = params.influence
-    linked = (jaccard * rho) > params.min_link
+    documents, bursts = params.factors != "no_documents", params.factors != "no_time"
+    affinity = (near.jaccard if documents else 1.0) * (near.rho if bursts else 1.0)
+    linked = affinity > params.min_link
+    rows = np.repeat(np.arange(n), np.diff(near.starts))
     topics = []
 
     def factor(total: np.ndarray, size: int, added: np.ndarray) -> np.ndarray:
-        return {"sum": total + added, "candidate": added, "mean": (total + added) / (size + 1), "off": np.ones(n)}[how]
+        return {"sum": total + added, "candidate": added, "mean": (total + added) / (size + 1), "off": np.ones(len(added))}[how]
+
+    def first_word() -> int:
+        if params.seed == "pair":
+            open_ = free[rows] & free[near.others]
+            value = np.where(open_, affinity * factor(influence[rows], 1, influence[near.others]), 0.0) if len(rows) else np.zeros(1)
+            return int(rows[value.argmax()]) if value.max() > 0 else int(free.argmax())
+        return int(np.where(free, influence, -np.inf).argmax())
 
     while free.any():
-        if params.seed == "pair" and free.sum() > 1:
-            both = jaccard * rho * {"sum": influence[:, None] + influence[None, :], "candidate": np.broadcast_to(influence[None, :], (n, n)), "mean": (influence[:, None] + influence[None, :]) / 2, "off": np.ones((n, n))}[how]
-            both = np.where(free[:, None] & free[None, :] & ~np.eye(n, dtype=bool), both, -1.0)
-            seed = int(np.unravel_index(int(both.argmax()), both.shape)[0])
-        else:
-            seed = int(np.where(free, influence, -np.inf).argmax())
-        members = [seed]
-        free[seed] = False
-        sum_j, sum_r = jaccard[seed].copy(), rho[seed].copy()  # of each word with the members
-        in_j = in_r = 0.0
-        total, best = influence[seed], -np.inf
-        while len(members) < cap and free.any():
+        seed = first_word()
+        members: list[int] = []
+        sum_j, sum_r, able = np.zeros(n), np.zeros(n), np.zeros(n, bool)  # of each word with the members
+        in_j = in_r = total = 0.0
+
+        def take(i: int) -> None:
+            nonlocal in_j, in_r, total
+            in_j, in_r, total = in_j + sum_j[i], in_r + sum_r[i], total + influence[i]
+            own = near.row(i)
+            sum_j[near.others[own]] += near.jaccard[own]
+            sum_r[near.others[own]] += near.rho[own]
+            able[near.others[own][linked[own]]] = True
+            members.append(i)
+            free[i] = False
+
+        take(seed)
+        best = -np.inf
+        while len(members) < cap:
             k = len(members)
             pairs = k * (k + 1) / 2
-            value = (in_j + sum_j) / pairs * ((in_r + sum_r) / pairs) * factor(total, k, influence)
-            able = free & linked[members].any(axis=0)
-            if not able.any():
+            at = np.flatnonzero(able & free)
+            if not len(at):
                 break
-            value = np.where(able, value, -np.inf)
+            value = ((in_j + sum_j[at]) / pairs if documents else 1.0) * ((in_r + sum_r[at]) / pairs if bursts else 1.0) * factor(total, k, influence[at])
+            value = np.round(value, 12)  # ties by name, whatever the order of the sums
             pick = int(value.argmax())
             if value[pick] <= (params.min_pair_objective if k == 1 else best):
                 break
             best = float(value[pick])
-            in_j, in_r = in_j + sum_j[pick], in_r + sum_r[pick]
-            sum_j, sum_r = sum_j + jaccard[pick], sum_r + rho[pick]
-            total += influence[pick]
-            members.append(pick)
-            free[pick] = False
+            take(int(at[pick]))
         k = len(members)
         if k == 1:
             if params.singleton == "drop":
                 continue
-            alone = 1.0 if params.singleton == "self" else 0.0
-            doc = time = alone
+            doc = time = 1.0 if params.singleton == "self" else 0.0
         else:
             doc, time = in_j / (k * (k - 1) / 2), in_r / (k * (k - 1) / 2)
         impact = {"sum": total, "candidate": influence[members[-1]], "mean": total / k, "off": 1.0}[how]
-        topics.append({"features": sorted(names[i] for i in members), "doc_coherence": doc, "time_coherence": time, "influence": float(impact), "objective": float(doc * time * impact)})
+        objective = (doc if documents else 1.0) * (time if bursts else 1.0) * impact
+        topics.append({"features": sorted(names[i] for i in members), "doc_coherence": float(doc), "time_coherence": float(time), "influence": float(impact), "objective": float(objective)})
     return topics
 
 
-def extract_topics(pairs: DataFrame, influence: DataFrame, params: TopicParams = TopicParams()) -> DataFrame:
+def extract_topics(pairs: DataFrame, influence: DataFrame, params: TopicParams = TopicParams(), max_local_rows: int = 2_000_000) -> DataFrame:
     """``topic_id, features, doc_coherence, time_coherence, influence, objective``, ranked by objective.
 
     A candidate needs an affinity with a member, so topics never leave a component of the
-    affinity graph, and the components are worked on independently with equal results.
+    affinity graph, and the components are worked on independently with equal results. A
+    component of more than ``max_local_rows`` words and pairs is refused.
     """
-    edges = pairs.where(F.col("jaccard") * F.col("rho") > params.min_link).select(F.col("f").alias("a"), F.col("g").alias("b"))
+    affinity = {"all": F.col("jaccard") * F.col("rho"), "no_documents": F.col("rho"), "no_time": F.col("jaccard")}[params.factors]
+    edges = pairs.where(affinity > params.min_link).select(F.col("f").alias("a"), F.col("g").alias("b"))
     labels = connected(influence.select(F.col("feature").alias("id")), edges)
     words = labels.join(influence.withColumnRenamed("feature", "id"), "id").select("component", F.col("id").alias("f"), F.lit(None).cast("string").alias("g"), F.lit(None).cast("double").alias("jaccard"), F.lit(None).cast("double").alias("rho"), "influence")
     inside = pairs.join(labels.select(F.col("id").alias("f"), "component"), "f").join(labels.select(F.col("id").alias("g"), F.col("component").alias("other")), "g").where("component = other")
@@ -113,15 +161,11 @@ def extract_topics(pairs: DataFrame, influence: DataFrame, params: TopicParams =
         own = pdf[pdf.g.isna()].sort_values("f")
         names = own.f.tolist()
         at = {w: i for i, w in enumerate(names)}
-        n = len(names)
-        jac, rho = np.zeros((n, n)), np.zeros((n, n))
         links = pdf[pdf.g.notna()]
-        a, b = links.f.map(at).to_numpy(int), links.g.map(at).to_numpy(int)
-        jac[a, b] = jac[b, a] = links.jaccard
-        rho[a, b] = rho[b, a] = links.rho
-        return pd.DataFrame(greedy_topics(names, jac, rho, own.influence.to_numpy(float), params), columns=["features", "doc_coherence", "time_coherence", "influence", "objective"])
+        near = Neighbours.of(len(names), links.f.map(at).to_numpy(int), links.g.map(at).to_numpy(int), links.jaccard.to_numpy(float), links.rho.to_numpy(float))
+        return pd.DataFrame(greedy_from(names, near, own.influence.to_numpy(float), params), columns=["features", "doc_coherence", "time_coherence", "influence", "objective"])
 
-    return numbered(rows.groupBy("component").applyInPandas(work, TOPIC_SCHEMA))
+    return numbered(bounded(rows, "component", max_local_rows).groupBy("component").applyInPandas(work, TOPIC_SCHEMA))
 
 
 def numbered(topics: DataFrame) -> DataFrame:
