@@ -15,13 +15,15 @@ from indextrigger.params import FLAGSHIP
 from indextrigger.plans import affinity, baselines, chains, events, measures, pipeline, topics
 from indextrigger.plans.graph import connected
 from indextrigger.sources import views as V
+from indextrigger.sources.staging import bounded, staged
 from indextrigger.streaming import online
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 CHECKED = [
     "text_stream_windows", "page_stream_windows", "chat_stream_windows", "order_token_counts", "share_filtered_features_mean_day", "expected_rate_quiet", "burst_probability_strict", "burst_runs_order",
     "volatility_level_order_week", "volatility_within", "jaccard_bitmap", "temporal_cosine_sparse", "feature_influence_raw", "pair_objective_candidate", "worker_example", "topic_cosine_by_window", "group_similarity", "event_score_runs", "chain_overlap",
-    "keyword_index_correlation", "rel_as_of_join", "rel_range_join", "rel_window_functions", "stream_tumbling_counts",
+    "keyword_index_correlation", "poll_stream_windows", "index_order_polls", "burst_probability_poisson", "burst_probability_normal", "logistic_fit_mle", "aggregated_logistic_mle", "table_function_runs", "impact_topics_orders", "impact_topics_sessions", "impact_topics_polls",
+    "impact_topics_daily", "impact_topics_orders_faithful", "baseline_events_sessions", "grouping_quality", "logistic_distance", "stream_closed_windows", "stream_sliding_counts", "stream_sessions", "stream_stream_join", "stream_bursty_topics", "io_partitioned_by_window", "rel_as_of_join", "rel_range_join", "rel_window_functions", "stream_tumbling_counts",
 ]
 
 
@@ -156,7 +158,7 @@ def test_planted_words_burst_where_planted(spark):
 def test_sketches_are_close(spark, small):
     exact = affinity.jaccard_pairs(V.order_stream(spark, small))
     for method, bound in (("minhash", 0.2), ("theta", 0.02)):
-        got = {r["metric"]: r["value"] for r in measures.sketch_error(exact, affinity.jaccard_pairs(V.order_stream(spark, small), method)).collect()}
+        got = {r["metric"]: r["value"] for r in measures.sketch_error(exact, affinity.jaccard_pairs(V.order_stream(spark, small), method, within=exact)).collect()}
         assert got["max_error"] < bound
 
 
@@ -180,3 +182,51 @@ def test_baselines_run(spark, small):
     assert baselines.correlated_keywords(found.p, V.order_index(spark, small), 5).count() == 5
     assert {r["metric"] for r in measures.event_quality(runs).collect()} >= {"mean_score", "negative_share"}
     assert events.rank_events(runs, 3).count() <= 3
+
+
+def test_entry_without_the_training_data_folders(tmp_path):
+    """A copy of the library without both folders imports, with and without the pipeline module."""
+    import os
+    import shutil
+    import subprocess
+    import sys
+
+    root = os.path.dirname(os.path.abspath(entry.__file__))
+    at = tmp_path / "copy"
+    shutil.copytree(root, at, ignore=shutil.ignore_patterns(".git", "llm", "__pycache__", "tests", "spark-warehouse"))
+    ask = "import __spark_entry__ as e; print(len(e.queries()), len(e.oracle_sql()), any(k.startswith('op1_') or k == 'pipeline' for k in e.queries()))"
+    for gone in ((), ("corpus_pipeline.py",)):
+        for name in gone:
+            (at / name).unlink()
+        out = subprocess.run([sys.executable, "-c", ask], cwd=at, env=os.environ | {"PYTHONPATH": str(at)}, capture_output=True, text=True)
+        assert out.returncode == 0 and out.stdout.split()[-1] == "False", out.stderr
+        assert int(out.stdout.split()[-3]) == len(registry.QUERIES)
+
+
+def test_ranks_need_no_dense_ids(spark):
+    rows = [(None, "a"), (-5, "b"), (7, "c"), (7, "c"), (10**15, "d"), (3, None)]
+    got = V.ranked(spark.createDataFrame(rows, "doc_id long, text string"), ["doc_id", "text"], "r").collect()
+    assert sorted(x["r"] for x in got) == list(range(6))
+    assert [x["doc_id"] for x in sorted(got, key=lambda x: x["r"])] == [None, -5, 3, 7, 7, 10**15]
+
+
+def test_blocks_give_the_same_pairs(spark, small):
+    p = registry.burst_table(spark, small, "session")
+    one, many = (sorted((r["f"], r["g"], round(r["rho"], 9)) for r in affinity.temporal_pairs(p, False, n).collect()) for n in (10**6, 7))
+    assert one == many and one
+
+
+def test_components_lose_no_pair_that_topics_use(spark, small):
+    tokens = staged(registry.STREAMS["session"](spark, small), "tokens")
+    p = staged(registry.burst_table(spark, small, "session"), "bursts")
+    whole = {(r["f"], r["g"]): (r["jaccard"], r["rho"]) for r in affinity.affinities(tokens, p).collect()}
+    inside = {(r["f"], r["g"]): (r["jaccard"], r["rho"]) for r in affinity.component_affinities(tokens, p).collect()}
+    assert set(inside) <= set(whole) and all(whole[k] == pytest.approx(v) for k, v in inside.items())
+    assert {k for k, (j, r) in whole.items() if j * r > 0} <= set(inside)
+
+
+def test_large_local_steps_are_refused(spark):
+    rows = spark.range(30).select(F.lit(1).alias("run"))
+    assert bounded(rows, "run", 30).count() == 30
+    with pytest.raises(ValueError, match="max_local_rows"):
+        bounded(rows, "run", 29)
