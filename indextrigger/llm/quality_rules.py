@@ -215,3 +215,9 @@ def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     rules = learn_rules(labelled_sample(docs, table(spark, sf_dir, "labels")))
     return judged(docs, rules).select("doc_id", *COUNTS, "base_failed", "kept")
+
+
+def quality_base_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The counts of every whole text and the base verdict, without rules."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return with_counts(docs).select("doc_id", *COUNTS, base_failed().alias("base_failed"))

@@ -21,6 +21,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op8_quality_rules": quality_rules.op8_quality_rules,
         "op9_ngram_jaccard": ngram_join.op9_ngram_jaccard,
         "op10_hilbert_sharding": hilbert_sharding.op10_hilbert_sharding,
+        "quality_base_counts": quality_rules.quality_base_counts,
     }
 
 
@@ -58,5 +59,15 @@ SELECT doc_id, coalesce(n, 0) AS n_shingles, least(doc_id, coalesce((SELECT min(
 """
 
 
+#: The counts and the base verdict of operator 8, which need no model.
+BASE_COUNTS_SQL = r"""WITH d AS (SELECT row_number() OVER () AS r, doc_id, coalesce(text, '') AS t, coalesce(regexp_extract_all(text, '[^\x20\x09-\x0D]+'), []) AS ws FROM documents),
+w AS (SELECT r, i, array_to_string(list_slice(ws, i, i + 2), ' ') AS s FROM d, unnest(range(1, greatest(len(ws) - 1, 1))) x(i)),
+c AS (SELECT r, count(DISTINCT spot) AS n FROM (SELECT r, i, count(*) OVER (PARTITION BY r, s) AS m FROM w), unnest(range(i, i + 3)) y(spot) WHERE m > 1 GROUP BY r),
+l AS (SELECT r, count(*) - count(DISTINCT line) AS n FROM (SELECT r, unnest(string_split(t, chr(10))) AS line FROM d) WHERE regexp_matches(line, '[^\x20\x09-\x0D]') GROUP BY r)
+SELECT doc_id, len(ws) AS n_words, CAST(coalesce(list_sum(list_transform(ws, lambda x: length(x))), 0) AS BIGINT) AS word_chars, length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')) AS n_symbols,
+ coalesce(l.n, 0) AS n_dup_lines, coalesce(c.n, 0) AS n_repeat_words, len(ws) < 50 OR 100 * coalesce(c.n, 0) > 50 * len(ws) AS base_failed FROM d LEFT JOIN c USING (r) LEFT JOIN l USING (r)
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op2_source_mixing": source_mixing.OP2_SQL, "op4_chat_formatting": OP4_SQL, "op7_decontamination": OP7_SQL, "op9_ngram_jaccard": OP9_SQL}
+    return {"op2_source_mixing": source_mixing.OP2_SQL, "op4_chat_formatting": OP4_SQL, "op7_decontamination": OP7_SQL, "op9_ngram_jaccard": OP9_SQL, "quality_base_counts": BASE_COUNTS_SQL}

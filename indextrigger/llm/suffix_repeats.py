@@ -95,13 +95,13 @@ def intervals(data: np.ndarray, offsets: np.ndarray, width: int) -> tuple[np.nda
     return docs, first - offsets[docs], counts, ahead, grams[owner], whole
 
 
-def _blocks(raw: np.ndarray, cuts: np.ndarray, width: int) -> Iterator[tuple[np.ndarray, np.ndarray, int]]:
+def _blocks(raw: np.ndarray, cuts: np.ndarray, width: int, most: int = int(_INDEX), step: int = _BLOCK) -> Iterator[tuple[np.ndarray, np.ndarray, int]]:
     """A piece, or the overlapping blocks of one document too long for the packed positions."""
-    if len(raw) <= int(_INDEX):
+    if len(raw) <= most:
         yield raw, cuts, 0
         return
-    for at in range(0, len(raw) - width + 1, _BLOCK):
-        part = raw[at : at + _BLOCK + width - 1]
+    for at in range(0, len(raw) - width + 1, step):
+        part = raw[at : at + step + width - 1]
         yield part, np.array([0, len(part)]), at
 
 

@@ -289,16 +289,21 @@ def test_suffix_repeats(spark, classes):
     assert sorted((x["n_bytes"], x["n_removed"], x["n_spans"], x["kept_sha256"]) for x in got) == sorted(brute_repeats(texts))
 
 
-def test_long_document_blocks(monkeypatch):
+def test_long_document_blocks():
+    """The blocks of a long document hold every string once, under the gram that it has in the whole document."""
     data = np.frombuffer(("".join(rng(1).choice("ab ") for _ in range(6000))).encode(), np.uint8)
-    monkeypatch.setattr(suffix_repeats, "_BLOCK", 1000)
-    monkeypatch.setattr(suffix_repeats, "_INDEX", np.uint64((1 << 24) - 1))
-    starts = []
-    for at in range(0, len(data) - 199, 1000):
-        part = data[at : at + 1000 + 199]
-        _, first, counts, *_ = suffix_repeats.intervals(part, np.array([0, len(part)]), 200)
-        starts += [at + f + k for f, c in zip(first, counts) for k in range(c)]
-    assert sorted(starts) == list(range(len(data) - 199))
+    whole = np.array([0, len(data)])
+
+    def strings(parts):
+        out = []
+        for part, borders, shift in parts:
+            _, first, counts, ahead, grams, _ = suffix_repeats.intervals(part, borders, 200)
+            out += [(shift + f + k, shift + f + h, int(g)) for f, c, h, g in zip(first, counts, ahead, grams) for k in range(c)]
+        return sorted(out)
+
+    blocks = list(suffix_repeats._blocks(data, whole, 200, 2000, 1000))
+    assert len(blocks) == 6 and strings(blocks) == strings([(data, whole, 0)])
+    assert [x[0] for x in strings(blocks)] == list(range(len(data) - 199))
 
 
 @pytest.mark.parametrize("percent", [50, 66])
@@ -426,3 +431,49 @@ def test_empty_benchmark_and_repeated_documents(spark):
     assert [x["contaminated"] for x in none] == [False] * 3
     some = decontamination.contamination(docs, spark.createDataFrame([(4, "B C"), (5, None)], "item_id long, text string")).collect()
     assert sorted((x["n_words"], x["n_hit"], x["items"]) for x in some) == [(0, 0, []), (3, 2, ["4"]), (3, 2, ["4"])]
+
+
+def test_edges_of_the_text_operators(spark):
+    """Empty tables, null ids, repeated rows and very long texts, conversations included."""
+    r = rng(21)
+    long_text = "".join(r.choice("abcdefghij ") for _ in range(300_000))
+    rows = [(1, "some words of a text"), (1, "some words of a text"), (None, None), (None, "x"), (2, ""), (3, long_text), (4, "new " + long_text[1000:3000])]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").withColumn("n_bytes", F.lit("clash")).withColumn("sig", F.lit(0))
+    none = docs.limit(0)
+    for made in (chunk_dedup.deduplicated, suffix_repeats.without_repeats, prefix_tokens.token_counts, ngram_join.jaccard_components, quality_rules.with_counts):
+        assert made(none).count() == 0 and made(docs).count() == len(rows)
+    cut = {(x["doc_id"], x["n_bytes"]): x["n_removed"] for x in suffix_repeats.without_repeats(docs).collect()}
+    assert cut[3, 300_000] == cut[4, 2004] == 2000 and cut[1, 20] == 0
+    kept = sorted((x["doc_id"] or 0, x["n_removed"]) for x in chunk_dedup.deduplicated(docs).collect())
+    assert kept[-1][1] >= 1900 and kept[-2] == (3, 0) and kept[:3] == [(0, 0), (0, 0), (1, 0)]
+    groups = {(x["doc_id"], x["n_shingles"]): x["component_id"] for x in ngram_join.jaccard_components(docs).collect()}
+    assert groups[1, 1] == 1 and groups[2, 0] == 2 and groups[None, 0] is None
+    turns = [(7, t, "user" if t % 2 else "assistant", f"turn {t}") for t in range(3000)] + [(8, 0, None, None)]
+    talks = {x["conv_id"]: x for x in chat.digests(chat.formatted(spark.createDataFrame(turns, "conv_id long, turn long, role string, text string"))).collect()}
+    assert talks[7]["n_turns"] == 3000 and talks[7]["loss_chars"] == sum(len(x[3]) for x in turns[:-1] if x[2] == "assistant") and talks[8]["loss_chars"] == 0
+
+
+def test_base_counts_equal_sql(spark):
+    import duckdb
+
+    from indextrigger.llm import queries
+
+    con = duckdb.connect()
+    con.execute("create view documents as select * from '/root/testdata/sf0.001/documents.parquet'")
+    want = con.execute(queries.oracle_sql()["quality_base_counts"]).fetchall()
+    got = quality_rules.quality_base_counts(spark, "/root/testdata/sf0.001").collect()
+    assert sorted(map(tuple, got)) == sorted(want)
+
+
+def test_rules_go_on_after_a_refused_one(spark):
+    """Symbols tell most but not surely; repeated lines tell less and surely."""
+    rows = []
+    for i in range(600):
+        rows.append((i, "## " * 40 + " ".join(f"w{i}x{j}" for j in range(80)), int(i % 5 != 0)))
+    for i in range(600, 900):
+        rows.append((i, "\n".join(["the same line"] * (6 if i % 3 == 0 else 1)) + " " + " ".join(f"w{i}x{j}" for j in range(80)), int(i % 3 == 0)))
+    sample = spark.createDataFrame(rows, "doc_id long, text string, bad int")
+    rules = quality_rules.learn_rules(sample)
+    assert rules.rules and all(quality_rules.both(rule) is not None for rule in rules.rules)
+    judged = quality_rules.judged(sample, rules).where("NOT kept AND NOT base_failed").agg(F.sum("bad").alias("p"), F.count(F.lit(1)).alias("n")).first()
+    assert judged["p"] >= 0.9 * judged["n"]
