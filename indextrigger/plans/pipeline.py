@@ -56,9 +56,12 @@ def impact_topics(tokens: DataFrame, index: DataFrame, params: Params = FLAGSHIP
     return found, pvi, influence, pairs, staged(topics.extract_topics(pairs, influence, params.topic, params.max_local_rows), "topics")
 
 
-def run(tokens: DataFrame, index: DataFrame, params: Params = FLAGSHIP) -> Result:
-    """Topics, groups, chains and ranked events. Stages are written, so each restarts from the one before."""
-    found, pvi, influence, pairs, tops = impact_topics(tokens, index, params)
+def run(tokens: DataFrame, index: DataFrame, params: Params = FLAGSHIP, known: tuple | None = None) -> Result:
+    """Topics, groups, chains and ranked events. Stages are written, so each restarts from the one before.
+
+    ``known`` is what :func:`impact_topics` gave for the same stream, index and switches, if it ran before.
+    """
+    found, pvi, influence, pairs, tops = known or impact_topics(tokens, index, params)
     rate = staged(topics.topic_burst(tops, found.p, params.topic.burst_threshold), "rates")
     gram = staged(groups.topic_gram(tops, tokens, rate), "gram")
     grouped = staged(groups.group_topics(gram, params.group), "groups")

@@ -501,12 +501,12 @@ def _shared(s: SparkSession, d: str, dataset: str, params: Params, what: str, ma
 
 
 def method(s: SparkSession, d: str, dataset: str, params: Params = FLAGSHIP) -> P.Result:
-    return _shared(s, d, dataset, params, "run", P.run)
+    return _shared(s, d, dataset, params, "run", lambda tokens, index, own: P.run(tokens, index, own, topics_of(s, d, dataset, params)))
 
 
 def topics_of(s: SparkSession, d: str, dataset: str, params: Params = FLAGSHIP) -> tuple:
-    """Bursts, levels, influence, pairs and topics of a dataset."""
-    return _shared(s, d, dataset, params, "topics", P.impact_topics)
+    """Bursts, levels, influence, pairs and topics of a dataset, which hang on no switch of groups and chains."""
+    return _shared(s, d, dataset, params.but(group=FLAGSHIP.group, chain=FLAGSHIP.chain), "topics", P.impact_topics)
 
 
 def flat_topics(topics: DataFrame) -> DataFrame:
