@@ -335,20 +335,24 @@ class _Join:
     def hub_rest(self, differences: DataFrame, first: DataFrame) -> DataFrame:
         """Links of components between members of large buckets, by what they do not share with their hub.
 
-        One of the two is not linked to the hub, and no link ties them together so far."""
+        One of the two is outside the hub's component; buckets that lie within one are not looked at."""
         percent = self.percent
-        star = differences.select(F.col("a").alias("center"), F.col("b").alias("node"), "n", "linked", "difference").join(first, "node", "left")
-        star = star.withColumn("component", F.coalesce("component", "node"))
-        x, y = (star.select("center", *[F.col(c).alias(f"{c}_{s}") for c in ("node", "n", "linked", "difference", "component")]) for s in "xy")
+        star = differences.select(F.col("a").alias("center"), F.col("b").alias("node"), "n", "difference").join(first, "node", "left")
+        own = first.select(F.col("node").alias("center"), F.col("component").alias("hub_component"))
+        star = star.join(own, "center", "left").withColumn("component", F.coalesce("component", "node"))
+        star = self.scratch.keep(star.withColumn("outside", F.col("component") != F.coalesce("hub_component", "center")), "stars")
+        x, y = (star.select("center", *[F.col(c).alias(f"{c}_{s}") for c in ("node", "n", "outside", "difference", "component")]) for s in "xy")
+        x = x.where("outside_x")
+        y = self.picked(y, "center", self.scratch.keep(x.select("center").distinct(), "centers"))
         apart = F.size("difference_x") + F.size("difference_y")
         # |X or Y| - |X and Y| is what the two differences from the hub do not share.
         differ = apart - 2 * F.size(F.array_intersect("difference_x", "difference_y"))
         total = F.col("n_x") + F.col("n_y")
         room = total - 2 * least_shared(F.col("n_x"), F.col("n_y"), percent)
-        once = F.col("linked_y") | (F.col("node_x") < F.col("node_y"))
+        once = ~F.col("outside_y") | (F.col("node_x") < F.col("node_y"))
         possible = F.abs(F.size("difference_x") - F.size("difference_y")) <= room
         others = (F.col("component_x") != F.col("component_y")) & once & sizes_fit(F.col("n_x"), F.col("n_y"), percent) & possible & (differ <= room)
-        rest = x.where("NOT linked_x").join(y, "center").where(others)
+        rest = x.join(y, "center").where(others)
         return rest.select(F.col("component_x").alias("a"), F.col("component_y").alias("b"))
 
 
