@@ -230,3 +230,15 @@ def test_large_local_steps_are_refused(spark):
     assert bounded(rows, "run", 30).count() == 30
     with pytest.raises(ValueError, match="max_local_rows"):
         bounded(rows, "run", 29)
+
+
+def test_poisson_tail_of_large_means(spark):
+    """Means beyond 745, where the first term of the running sum is 0, against sums of logarithms."""
+    cells = [(0, 5, 36_000, 0.03), (1, 1_000, 36_000, 0.03), (2, 1_080, 36_000, 0.03), (3, 1_200, 36_000, 0.03), (4, 90_500, 3_000_000, 0.03), (5, 3, 100, 0.02), (6, 2_500, 36_000, 0.01)]
+    df = spark.createDataFrame([("f", *c) for c in cells], "feature string, win int, n long, total long, pe double")
+    for tail, more in (("strict", 0), ("inclusive", 1)):
+        for win, n, total, pe in cells:
+            one = df.where(F.col("win") == win)
+            got = B.burst_probability(one.select("feature", "win", "n"), one.select("win", "total"), one.select("feature", "pe"), tail, approx="poisson").first()["p"]
+            want = math.fsum(math.exp(k * math.log(total * pe) - total * pe - math.lgamma(k + 1)) for k in range(n + more))
+            assert got == pytest.approx(min(want, 1.0), abs=1e-7)
