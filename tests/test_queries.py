@@ -1,6 +1,7 @@
 """Queries against their SQL twins on the smallest tables, plans, edges and streams."""
 
 import math
+import random
 
 import duckdb
 import pytest
@@ -242,3 +243,66 @@ def test_poisson_tail_of_large_means(spark):
             got = B.burst_probability(one.select("feature", "win", "n"), one.select("win", "total"), one.select("feature", "pe"), tail, approx="poisson").first()["p"]
             want = math.fsum(math.exp(k * math.log(total * pe) - total * pe - math.lgamma(k + 1)) for k in range(n + more))
             assert got == pytest.approx(min(want, 1.0), abs=1e-7)
+
+
+@pytest.mark.parametrize("most", [1, 4, 1_024])
+def test_tables_count_the_pairs_of_components(spark, monkeypatch, most):
+    """Square tables, packed components and the join of wide ones against plain sets; blocks end inside documents."""
+    monkeypatch.setattr(affinity, "GRAM_ROWS", 7)
+    monkeypatch.setattr(affinity, "GRAM_DOCS", 3)
+    r = random.Random(5)
+    words = [f"w{i:02}" for i in range(17)]
+    tokens = [(r.choice([None, *range(-3, 20)]), r.randrange(4), r.choice(words)) for _ in range(400)]
+    of = {w: words[(0, 5, 8, 10, 12)[min(i // 4, 4)]] for i, w in enumerate(words)}
+    held = {w: {d for d, _, x in tokens if x == w} for w in words}
+    want = {}
+    for f in words:
+        for g in words:
+            if f < g and of[f] == of[g] and (n := len((held[f] & held[g]) - {None})):
+                want[f, g] = (n, len(held[f]), len(held[g]), n / (len(held[f]) + len(held[g]) - n))
+    got = affinity.component_jaccard(spark.createDataFrame(tokens, "doc_id long, win int, feature string"), spark.createDataFrame(list(of.items()), "feature string, component string"), most)
+    assert {(x["f"], x["g"]): tuple(x)[2:] for x in got.collect()} == want
+
+
+def test_irregular_windows_are_found_without_trying_all(spark):
+    """Windows across days, several in a day, gaps, borders, times outside and no time."""
+    spans = [(0, "2024-01-01 10:00:00", "2024-01-01 10:00:30"), (1, "2024-01-01 10:00:30", "2024-01-03 00:00:00"), (2, "2024-01-05 00:00:00", "2024-01-05 00:00:01"), (3, "1969-12-30 00:00:00", "1969-12-31 12:00:00")]
+    bounds = spark.createDataFrame(spans, "win int, start string, end string").select("win", F.to_timestamp("start").alias("start"), F.to_timestamp("end").alias("end"))
+    want = {"2024-01-01 09:59:59": None, "2024-01-01 10:00:00": 0, "2024-01-01 10:00:30": 1, "2024-01-02 23:59:59": 1, "2024-01-03 00:00:00": None, "2024-01-05 00:00:00": 2, "2024-01-05 00:00:01": None, "1969-12-31 11:59:59": 3, None: None}
+    rows = spark.createDataFrame([(t,) for t in want], "t string").withColumn("ts", F.to_timestamp("t"))
+    found = V.assign_irregular(rows, bounds)
+    assert {x["t"]: x["win"] for x in found.collect()} == want and found.count() == len(want)
+    assert "filter(" not in found._jdf.queryExecution().toString().lower()
+
+
+def test_streams_of_datasets_are_written_once(spark, small):
+    """All queries of a dataset, with the index and without, read one written stream and one table of pairs."""
+    from dataclasses import replace
+
+    off = FLAGSHIP.but(topic=replace(FLAGSHIP.topic, influence="off"))
+    on_, off_ = registry.topics_of(spark, small, "sessions"), registry.topics_of(spark, small, "sessions", off)
+    assert on_[3] is off_[3] and on_[4] is not off_[4]
+    scan = registry.tokens_of(spark, small, "sessions")._jdf.queryExecution().toString()
+    assert "tokens-" in scan and "Generate" not in scan
+
+
+def test_common_tokens_equal_stems_then_shares(spark):
+    """Words dropped before documents are counted change nothing; null and repeated ids, shares on the bounds, texts with signs."""
+    r = random.Random(3)
+    words = ["walk", "walked", "walking", "rare", "rarely", "sky", "skies", "everywhere", "once"]
+    texts = [" ".join(["everywhere", *r.choices(words[:7], k=r.randrange(6))]) for _ in range(38)] + ["once once once", "www. x@y.zz me@abc.de http://skies.xx/a sky"]
+    rows = [(None if i % 13 == 5 else i // 2 if i % 5 == 0 else i, i % 3, t) for i, t in enumerate(texts)]
+    docs = spark.createDataFrame(rows, "doc_id long, win int, text string")
+    plain = [X.URL, X.EMAIL, X.DIGITS]
+    text = F.col("text")
+    for pattern in plain:
+        text = F.regexp_replace(text, pattern, " ")
+    assert docs.where(~X.scrub(F.col("text")).eqNullSafe(text)).count() == 0
+    for stemmed in (False, True):
+        tokens = X.tokenize(docs)
+        want = X.share_filter(X.stem_tokens(tokens) if stemmed else tokens, 0.05, 0.8)
+        got = X.prepare_tokens(docs, stemmed=stemmed)
+        assert sorted(map(str, got.collect())) == sorted(map(str, want.collect())) and got.count()
+        plan = got._jdf.queryExecution().toString()
+        assert "ArrowEvalPython" not in plan and "regexp" not in plan  # stems and words are written, not made again
+    assert X.prepare_tokens(docs.limit(0), stemmed=True).count() == 0
