@@ -16,7 +16,7 @@ from indextrigger.params import FLAGSHIP
 from indextrigger.plans import affinity, baselines, chains, events, measures, pipeline, topics
 from indextrigger.plans.graph import connected
 from indextrigger.sources import views as V
-from indextrigger.sources.staging import bounded, staged
+from indextrigger.sources.staging import bounded, shared_folder, staged
 from indextrigger.streaming import online
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -306,3 +306,23 @@ def test_common_tokens_equal_stems_then_shares(spark):
         plan = got._jdf.queryExecution().toString()
         assert "ArrowEvalPython" not in plan and "regexp" not in plan  # stems and words are written, not made again
     assert X.prepare_tokens(docs.limit(0), stemmed=True).count() == 0
+
+
+def test_overlap_of_given_chains(spark):
+    chains_ = [(1, [(1, 0), (2, 0), (3, 0)]), (2, [(2, 0), (3, 0), (4, 0), (5, 0), (6, 0)]), (3, [(1, 0), (0, 1), (2, 1)])]
+    got = events.chain_overlap(spark.createDataFrame([(c, w, g) for c, gs in chains_ for w, g in gs], "chain_id int, win int, group_id int"))
+    assert {(r["a"], r["b"]): (r["shared"], round(r["overlap"], 6)) for r in got.collect()} == {(1, 2): (2, 0.666667), (1, 3): (1, 0.333333)}
+
+
+def test_worked_example(spark):
+    got = topics.compare_partners(spark, "worker", [("union", 0.31, 0.25, 30.0), ("wage", 0.35, 0.10, 74.0)])
+    assert {r["partner"]: (round(r["without_index"], 6), round(r["with_index"], 6)) for r in got.collect()} == {"union": (0.0775, 2.325), "wage": (0.035, 2.59)}
+
+
+@pytest.mark.parametrize("name", ["chain_overlap", "worker_example"])
+def test_examples_read_given_tables(spark, small, name):
+    empty = {t: spark.read.parquet(f"{small}/{t}.parquet").limit(0) for t in ("orders", "lineitem", "part")}
+    folder = f"{shared_folder(spark)}/no-orders"
+    for t, df in empty.items():
+        df.write.mode("overwrite").parquet(f"{folder}/{t}.parquet")
+    assert registry.QUERIES[name](spark, small).count() > 0 and registry.QUERIES[name](spark, folder).count() == 0
