@@ -5,13 +5,17 @@ each and folded into one Hilbert index, so that a run of the order covers a comp
 box of all three and a reader can skip shards by any of them. Rows are ordered by
 (index, checksum, text hash, id), equal texts side by side, and the order is cut into
 runs whose row counts differ by one at most. The global rank is taken in two steps: a
-range partitioning written to the shared folder fixes the parts, a small table of
-counts for each part gives the offsets, and a window inside each part the rest; no
-step brings all rows to one task.
+range partitioning, sorted and numbered inside each part, is written to the shared
+folder, and a small table of counts for each part gives the offsets; rows move once
+and no step brings all of them to one task.
 """
 
 from __future__ import annotations
 
+from functools import lru_cache, reduce
+from itertools import accumulate
+from operator import xor
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -32,46 +36,59 @@ def name_cell(name: Column, bits: int = BITS) -> Column:
     return F.pmod(F.xxhash64(F.coalesce(name.cast("string"), F.lit("\0null"))), F.lit(1 << bits)).cast("int")
 
 
+@lru_cache
+def curve_steps(n: int) -> tuple[list[int], list[int]]:
+    """Digits and next states of the curve in n dimensions, at ``state * 2 ** n + cell``.
+
+    A level reads one bit of every coordinate (the cell) as a digit in Gray code and then
+    reflects and swaps all bits below. A state is what the levels above have done to the bits of
+    the next: which coordinate stands where, which are inverted, and whether the digit is.
+    """
+    start = (tuple(range(n)), (0,) * n, 0)
+    states, order, digits, after = {start: 0}, [start], [], []
+    for axes, inverted, twist in order:
+        for cell in range(1 << n):
+            bits = [(cell >> (n - 1 - axis)) & 1 ^ turn for axis, turn in zip(axes, inverted)]
+            below = list(zip(axes, inverted))
+            for i, on in enumerate(bits):
+                if on:
+                    below[0] = (below[0][0], 1 - below[0][1])
+                else:
+                    below[0], below[i] = below[i], below[0]
+            gray = list(accumulate(bits, xor))
+            state = (tuple(axis for axis, _ in below), tuple(turn for _, turn in below), twist ^ gray[-1])
+            if state not in states:
+                states[state] = len(states)
+                order.append(state)
+            digits.append(sum((g ^ twist) << (n - 1 - i) for i, g in enumerate(gray)))
+            after.append(states[state])
+    return digits, after
+
+
 def hilbert_index(axes: list[Column], bits: int = BITS) -> Column:
     """The index along the Hilbert curve of a cell given by its coordinates.
 
-    From the highest bit down, each level reads one bit of every (transformed)
-    coordinate as a digit in Gray code and then reflects and swaps what lies below.
-    The state of the fold is the coordinates; all is integer arithmetic on columns.
+    From the highest bit down, each level looks up its digit and the state of the next in a
+    table; the fold holds the index so far above the state, in one integer.
     """
     n = len(axes)
-    names = [f"x{i}" for i in range(n)]
-    start = F.struct(*[a.cast("int").alias(x) for a, x in zip(axes, names)])
-
-    def reflect(state: Column, level: Column) -> Column:
-        low = level - 1
-        axis = {x: state[x] for x in names}
-        for x in names:
-            on, head = axis[x].bitwiseAND(level) != 0, axis["x0"]
-            flipped = head.bitwiseXOR(axis[x]).bitwiseAND(low)
-            if x != "x0":
-                axis[x] = F.when(on, axis[x]).otherwise(axis[x].bitwiseXOR(flipped))
-            axis["x0"] = F.when(on, head.bitwiseXOR(low)).otherwise(head.bitwiseXOR(flipped))
-        return F.struct(*[axis[x].alias(x) for x in names])
-
-    levels = F.array(*[F.lit(1 << b) for b in range(bits - 1, 0, -1)])
-    turned = F.aggregate(levels, start, reflect)
-
-    def index(state: Column) -> Column:
-        gray = [state["x0"]]
-        for x in names[1:]:
-            gray.append(state[x].bitwiseXOR(gray[-1]))
-        last = gray[-1]
-        twist = F.lit(0)
-        for b in range(bits - 1, 0, -1):
-            twist = twist.bitwiseXOR(F.when(last.bitwiseAND(F.lit(1 << b)) != 0, F.lit((1 << b) - 1)).otherwise(F.lit(0)))
-        total = F.lit(0).cast("long")
-        for b in range(bits - 1, -1, -1):
-            for g in gray:
-                total = total * 2 + F.shiftright(g.bitwiseXOR(twist), b).bitwiseAND(F.lit(1)).cast("long")
-        return total
-
-    return F.transform(F.array(turned), index)[0]
+    digits, after = curve_steps(n)
+    width = max(after).bit_length()
+    steps = F.expr(f"array({', '.join(f'{d << width | s}L' for d, s in zip(digits, after))})")
+    point = F.struct(*[a.cast("int").alias(f"x{i}") for i, a in enumerate(axes)])
+
+    def index(at: Column) -> Column:
+        def cell(level: int) -> Column:
+            parts = [F.shiftright(at[f"x{i}"], level).bitwiseAND(F.lit(1)) * F.lit(1 << (n - 1 - i)) for i in range(n)]
+            return reduce(Column.__add__, parts)
+
+        def step(held: Column, here: Column) -> Column:
+            state = held.bitwiseAND(F.lit((1 << width) - 1))
+            return F.shiftleft(held - state, n) + F.get(steps, (state * F.lit(1 << n)).cast("int") + here)
+
+        return F.aggregate(F.array(*[cell(level) for level in range(bits - 1, -1, -1)]), F.lit(0).cast("long"), step)
+
+    return F.shiftright(F.transform(F.array(point), index)[0], width)
 
 
 def with_curve(docs: DataFrame, dims: list[Column] | None = None) -> DataFrame:
@@ -101,12 +118,14 @@ def cut_runs(keyed: DataFrame, n_shards: int = 24, parts: int | None = None) ->
     rest = [c for c, kind in keyed.dtypes if c not in {*first, "text"} and not kind.startswith(("map", "variant"))]
     order = [F.col(c) for c in first] + [F.col(c).asc_nulls_first() for c in rest]
     parts = parts or max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    laid = written(keyed.repartitionByRange(parts, *order).withColumn(part, F.spark_partition_id()), "shards")
+    laid = keyed.repartitionByRange(parts, *order).sortWithinPartitions(*order).withColumn(part, F.spark_partition_id())
+    # The lower 33 bits number the rows of a part in its order; written once, so a repeated step reads the same numbers.
+    laid = written(laid.withColumn(rank, F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1))), "shards")
     counts = laid.groupBy(part).agg(F.count(F.lit(1)).alias(count))
     through = Window.orderBy(part).rowsBetween(Window.unboundedPreceding, -1)
     offsets = counts.select(part, F.coalesce(F.sum(count).over(through), F.lit(0)).alias(before), F.sum(count).over(Window.partitionBy()).alias(count))
     ranked = laid.join(F.broadcast(offsets), part)  # one row for each part: as many as shuffle partitions
-    ranked = ranked.withColumn(rank, F.col(before) + F.row_number().over(Window.partitionBy(part).orderBy(*order)) - 1)
+    ranked = ranked.withColumn(rank, F.col(before) + F.col(rank))
     base, extra = F.floor(F.col(count) / n_shards), F.col(count) % n_shards
     long_rows, short = extra * (base + 1), F.greatest(base, F.lit(1))
     early = F.col(rank) < long_rows

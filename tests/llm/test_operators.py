@@ -96,6 +96,22 @@ def test_sharding(spark):
     assert hilbert_sharding.sharded(spark.createDataFrame([], DOCS)).count() == 0
 
 
+def test_sharding_moves_rows_once(spark):
+    rows = [(i, f"t {i * 7 % 50}", "en", "ab"[i % 2], 1) for i in range(200)]
+    out = hilbert_sharding.sharded(spark.createDataFrame(rows, DOCS).repartition(5), 7)
+    assert "row_number" not in out._jdf.queryExecution().executedPlan().toString()  # a window would shuffle the texts again
+    line = [(r["curve"], r["text_crc32"], r["text"], r["doc_id"]) for r in sorted(out.collect(), key=lambda r: (r["shard"], r["slot"]))]
+    assert line == sorted(line, key=lambda x: x[:2]) and len({x[3] for x in line}) == 200
+    texts = [x[2] for x in line]
+    assert all(a == b for a, b in zip(texts, sorted(texts, key=texts.index)))  # equal texts stand together
+
+
+def test_hilbert_table(spark):
+    digits, after = hilbert_sharding.curve_steps(3)
+    assert len(digits) == len(after) == 8 * (max(after) + 1)
+    assert all(sorted(digits[i : i + 8]) == list(range(8)) for i in range(0, len(digits), 8))
+
+
 def brute_counts(text):
     words = SPACED.findall(text or "")
     seen, covered, lines, dup = collections.defaultdict(list), set(), set(), 0
