@@ -112,6 +112,36 @@ def test_hilbert_table(spark):
     assert all(sorted(digits[i : i + 8]) == list(range(8)) for i in range(0, len(digits), 8))
 
 
+@pytest.mark.parametrize("percent", [90, 67])
+def test_short_prefixes_lose_no_pair(spark, percent):
+    r, pairs = np.random.default_rng(percent), []
+    for i in range(300):
+        a = r.integers(-(1 << 63), 1 << 63, int(r.integers(1, 400)))
+        a[: len(a) // 3] = (a[: len(a) // 3] >> 60 << 60) | np.arange(len(a) // 3)  # many alike in their upper bits
+        b = r.integers(-(1 << 63), 1 << 63, len(a)) if i % 5 == 0 else np.concatenate([a[r.random(len(a)) > r.random() / 3], r.integers(-(1 << 63), 1 << 63, int(r.integers(0, 20)))])
+        sets = [np.unique(x) for x in (a, b)]
+        if min(map(len, sets)):
+            alike = 100 * len(np.intersect1d(*sets)) >= percent * len(np.union1d(*sets))
+            pairs.append((alike, i % 5 == 0 and len(a) > 50, *(v for x in sets for v in (x[: ngram_join.prefix_size(len(x), percent, 2)].tolist(), len(x)))))
+    df = spark.createDataFrame(pairs, "alike boolean, foreign boolean, a array<long>, n_a long, b array<long>, n_b long")
+    found = [x for s in "ab" for x in (*ngram_join.brief(F.col(s), F.col(f"n_{s}")), F.col(f"n_{s}"))]
+    got = df.select("alike", "foreign", ngram_join.leads_fit(*found, percent).alias("fits")).collect()
+    assert all(x["fits"] for x in got if x["alike"]) and sum(x["alike"] for x in got) > 20
+    assert not any(x["fits"] for x in got if x["foreign"])
+
+
+def test_pairs_are_cut_by_size_before_prefixes_move(spark):
+    rows = [(i, " ".join(f"w{j}" for j in range(10 + 30 * i))) for i in range(4)] + [(4, " ".join(f"w{j}" for j in range(101)))]
+    named = spark.createDataFrame(rows, "doc_id long, text string")
+    nodes = ngram_join.sketches(named, 3, 90, True).select(F.col("doc_id").alias("node"), F.col("n_shingles").alias("n"), "lead")
+    scratch = ngram_join.Scratch(spark)
+    joined = ngram_join._Join(named, nodes, 3, 90, 32, scratch)
+    pairs = spark.createDataFrame([(a, b) for a in range(5) for b in range(a)], "a long, b long")
+    near = joined.near(pairs, "t")
+    assert [tuple(x) for x in near.collect()] == [(4, 3)]
+    assert spark.read.parquet(*scratch.paths["t-fit"]).count() == 1
+
+
 def brute_counts(text):
     words = SPACED.findall(text or "")
     seen, covered, lines, dup = collections.defaultdict(list), set(), set(), 0
