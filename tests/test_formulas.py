@@ -153,3 +153,22 @@ def test_agglomerate_against_all_linkages():
     assert list(agglomerate(3, sim, 0.5, "single")) == [0, 0, 0]
     assert list(agglomerate(3, sim, 0.5, "average")) == [0, 0, 2]
     assert list(agglomerate(3, sim, 0.5, "complete")) == [0, 0, 2]
+
+
+@pytest.mark.parametrize("linkage", ["single", "average", "complete"])
+def test_agglomerate_against_all_pairs_anew(linkage):
+    """Kept bests of rows against a search of all pairs in every step, with many ties; rows are sought again only if they lost their best."""
+    r = np.random.default_rng(4)
+    for n in (0, 1, 2, 9, 30):
+        sim = np.triu(np.round(r.random((n, n)) * 6) / 6 * (r.random((n, n)) < 0.6), 1)
+        sim = sim + sim.T
+        parts = {i: [i] for i in range(n)}
+        near = lambda x, y: sim[np.ix_(parts[x], parts[y])]
+        value = {"single": np.max, "average": np.mean, "complete": np.min}[linkage]
+        while len(parts) > 1:
+            best, _, i, j = max((round(float(value(near(x, y))), 12), (-x, -y), x, y) for x in parts for y in parts if x < y)
+            if best < 0.5:
+                break
+            parts[i] += parts.pop(j)
+        want = {k: i for i, own in parts.items() for k in own}
+        assert list(agglomerate(n, sim, 0.5, linkage)) == [want[k] for k in range(n)]

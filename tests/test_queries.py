@@ -2,6 +2,7 @@
 
 import math
 import random
+import threading
 
 import duckdb
 import pytest
@@ -13,10 +14,10 @@ from indextrigger.functions import bursts as B
 from indextrigger.functions import text as X
 from indextrigger.functions import volatility as VOL
 from indextrigger.params import FLAGSHIP
-from indextrigger.plans import affinity, baselines, chains, events, measures, pipeline, topics
+from indextrigger.plans import affinity, baselines, chains, events, graph, groups, measures, pipeline, topics
 from indextrigger.plans.graph import connected
 from indextrigger.sources import views as V
-from indextrigger.sources.staging import bounded, shared_folder, staged
+from indextrigger.sources.staging import at_once, bounded, shared_folder, staged
 from indextrigger.streaming import online
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -326,3 +327,60 @@ def test_examples_read_given_tables(spark, small, name):
     for t, df in empty.items():
         df.write.mode("overwrite").parquet(f"{folder}/{t}.parquet")
     assert registry.QUERIES[name](spark, small).count() > 0 and registry.QUERIES[name](spark, folder).count() == 0
+
+
+@pytest.mark.parametrize("block, cells, sent", [(500_000, 2_000_000, 1_000_000), (7, 10, 0)])
+def test_topic_cosines_by_products(spark, monkeypatch, block, cells, sent):
+    """Square tables of whole windows and of small blocks against plain sums; words in two topics, tokens without a document."""
+    for name, value in (("BLOCK_ROWS", block), ("DOT_CELLS", cells), ("BROADCAST_CELLS", sent)):
+        monkeypatch.setattr(groups, name, value)
+    r = random.Random(8)
+    tokens = [(r.choice([None, *range(-2, 9)]), r.randrange(3), r.choice("abcdefg")) for _ in range(300)]
+    tops = [(1, ["a", "b", "c"]), (2, ["c", "d"]), (3, ["e"]), (5, ["g", "f"])]
+    rate = [(t, w, (t, w) not in {(2, 1), (3, 2)}) for t, _ in tops for w in range(4)]
+    weight = {}
+    for d, w, f in tokens:
+        for t, words in tops:
+            if f in words and (t, w, True) in rate:
+                weight.setdefault((w, t), {}).setdefault(d, 0)
+                weight[w, t][d] += 1 / len(words)
+    norm = {k: math.sqrt(sum(x * x for x in v.values())) for k, v in weight.items()}
+    want = {}
+    for w, t in weight:
+        for u in [u for v, u in weight if v == w and u >= t]:
+            met = (weight[w, t].keys() & weight[w, u].keys()) - {None}
+            if met:
+                want[w, t, u] = sum(weight[w, t][d] * weight[w, u][d] for d in met) / norm[w, t] / norm[w, u]
+    got = groups.topic_gram(spark.createDataFrame(tops, "topic_id int, features array<string>"), spark.createDataFrame(tokens, "doc_id long, win int, feature string"), spark.createDataFrame(rate, "topic_id int, win int, bursty boolean"))
+    got = {(x["win"], x["t"], x["u"]): x["cosine"] for x in got.collect()}
+    assert got == pytest.approx(want, abs=1e-12) and len(got) > 20
+
+
+def test_windows_of_few_bytes_are_grouped_by_several_tasks(spark):
+    gram = spark.createDataFrame([(w, t, t, 1.0) for w in range(40) for t in (1, 2)], "win int, t int, u int, cosine double")
+    tasks = groups.group_topics(gram).groupBy(F.spark_partition_id().alias("task")).agg(F.count_distinct("win").alias("n")).collect()
+    assert len(tasks) > 1 and sum(x["n"] for x in tasks) == 40
+
+
+@pytest.mark.parametrize("rows", [0, 500_000])
+def test_components_in_a_task_and_in_rounds(spark, monkeypatch, rows):
+    """Both ways on words: loops, repeated edges, a null and ends that are no nodes."""
+    monkeypatch.setattr(graph, "TASK_ROWS", rows)
+    nodes = spark.createDataFrame([(x,) for x in ["e", "d", "c", "b", "a", "x", "z", "é", "c", None]], "id string")
+    edges = spark.createDataFrame([("e", "d"), ("d", "c"), ("d", "c"), ("b", "b"), ("z", "é"), ("x", "gone"), ("gone", "a"), (None, "a"), ("b", None)], "a string, b string")
+    got = connected(nodes, edges).collect()
+    assert sorted(map(str, ((r["id"], r["component"]) for r in got))) == sorted(map(str, [("c", "c"), ("d", "c"), ("e", "c"), ("b", "b"), ("a", "a"), ("x", "x"), ("z", "z"), ("é", "z"), (None, None)]))
+    assert connected(nodes.limit(0), edges).count() == 0
+
+
+def test_datasets_are_compared_at_once(spark, small, monkeypatch):
+    assert at_once(spark, [lambda i=i: spark.range(i).count() for i in (3, 1, 2)]) == [3, 1, 2] and at_once(spark, []) == []
+    met = threading.Barrier(3)
+
+    def measured(s, d, name, *more):
+        met.wait(30)
+        raise LookupError(name)
+
+    monkeypatch.setattr(registry, "measured_of", measured)
+    with pytest.raises(LookupError):
+        registry.quality_comparison(spark, small)
